@@ -132,7 +132,7 @@ def score_documents(df: DataFrame, target: DataFrame, vocabulary_size: int = 204
     ship(df.sparkSession)
     docs = documents(df, id_col, text_col)
     words = vocabulary(docs, vocabulary_size)
-    marks = target.select(F.col("doc_id").alias("_id")).filter("_id is not null").distinct().withColumn("_target", F.lit(True))
+    marks = target.select(F.col("doc_id").alias("_id")).filter("_id is not null").distinct().withColumn("_target", F.lit(True)).hint("merge")  # the same plan at every size
     counts = count_bigrams(docs.join(marks, F.col("doc_id") == F.col("_id"), "left").select("text", F.coalesce("_target", F.lit(False)).alias("target")), words)
     size = len(words)
     shared = df.sparkSession.sparkContext.broadcast((words, np.stack([losses(counts[1]), losses(counts[0])]).astype(np.float32)))
