@@ -10,11 +10,15 @@ keeps its planned length.
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
+from functools import partial
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.rng import SPAN, draw, fast_draw, uniform
+from ..functions.rng import SPAN, draw, draw_local, fast_draw, uniform
 from ..functions.sampling import SamplingPlan
 from ..sources.graphs import Graph, degrees, ranked_adjacency
 from ..sources.tables import keep
@@ -81,19 +85,37 @@ def stepwise_pairs(walkers: DataFrame, adj: DataFrame, longest: int, seed: int,
     return stepwise(walkers, adj, longest, seed, fast).join(pairs, ["start", "walk_no"]).select("pair", "step", "node")
 
 
-def local(walkers: DataFrame, adj: DataFrame, longest: int, seed: int, fast: bool = False, most_rows: int = 2_000_000) -> DataFrame:
-    """No exchange: the adjacency, if it has at most ``most_rows`` edges, is sent to all and every
-    walk is walked where it starts."""
-    if adj.limit(most_rows + 1).count() > most_rows:
+def local(walkers: DataFrame, adj: DataFrame, longest: int, seed: int, most_rows: int = 2_000_000) -> DataFrame:
+    """No exchange: the adjacency, if it has at most ``most_rows`` edges, is sent to all, and walks
+    are walked where their starts are."""
+    table = adj.select("node", "rk", "nbr").limit(most_rows + 1).toArrow()
+    if table.num_rows > most_rows:
         raise ValueError(f"the adjacency has over {most_rows} edges: use stepwise or stitched")
-    rows = F.broadcast(adj.select("node", "rk", "nbr", F.col("nbr_deg").alias("to_deg")))
-    at = walkers.select("start", "walk_no", "planned_len", "deg", F.col("start").alias("at"), F.array().cast("array<long>").alias("path"))
-    for k in range(1, longest + 1):
-        rk = F.when(F.col("planned_len") >= k, choice(seed, F.lit(k), F.col("deg"), fast))
-        at = at.withColumn("want", rk).join(rows, (F.col("at") == F.col("node")) & (F.col("want") == F.col("rk")), "left")
-        moved = F.col("nbr").isNotNull()
-        at = at.select("start", "walk_no", "planned_len", F.when(moved, F.col("to_deg")).otherwise(F.lit(0)).alias("deg"), F.coalesce("nbr", "at").alias("at"), F.when(moved, F.concat("path", F.array("nbr"))).otherwise(F.col("path")).alias("path"))
-    return at.select("start", "walk_no", "planned_len", F.posexplode("path").alias("step", "node")).withColumn("step", F.col("step") + 1).select(*STEPS)
+    node, rk, nbr = (table.column(c).to_numpy() for c in ("node", "rk", "nbr"))
+    order = np.lexsort((rk, node))
+    nodes, first = np.unique(node[order], return_index=True)
+    shared = adj.sparkSession.sparkContext.broadcast((nodes, np.append(first, len(node)), nbr[order]))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        nodes, first, nbr = shared.value
+        for b in batches:
+            start, number, planned = (np.asarray(b.column(c)).astype(np.int64) for c in ("start", "walk_no", "planned_len"))
+            at, live, out = start.copy(), np.arange(len(start)), []
+            for k in range(1, longest + 1):
+                live = live[planned[live] >= k]
+                place = np.searchsorted(nodes, at[live])
+                there = (place < len(nodes)) & (nodes[np.minimum(place, len(nodes) - 1)] == at[live]) if len(nodes) else np.zeros(len(live), bool)
+                live, place = live[there], place[there]
+                if not len(live):
+                    break
+                bits = np.array([draw_local(seed, "step", s, w, k) for s, w in zip(start[live].tolist(), number[live].tolist())], np.int64)
+                at[live] = nbr[first[place] + bits % (first[place + 1] - first[place])]
+                out.append((live, np.full(len(live), k), at[live]))
+            if out:
+                who, step, where = (np.concatenate(x) for x in zip(*out))
+                yield pa.RecordBatch.from_arrays([pa.array(start[who]), pa.array(number[who], pa.int32()), pa.array(planned[who], pa.int32()), pa.array(step, pa.int32()), pa.array(where)], list(STEPS))
+
+    return walkers.select("start", "walk_no", "planned_len").mapInArrow(run, "start long, walk_no int, planned_len int, step int, node long")
 
 
 def generate(g: Graph, plan: SamplingPlan, seed: int, strategy: str = "stepwise", layout: str = "merged", starts: DataFrame | None = None, adj: DataFrame | None = None, fast: bool = False) -> DataFrame:
@@ -105,13 +127,15 @@ def generate(g: Graph, plan: SamplingPlan, seed: int, strategy: str = "stepwise"
         from .stitching import stitched
 
         return stitched(g, plan, walkers, adj, seed)[0]
-    walk = {"stepwise": stepwise, "local": local}[strategy]
+    if strategy == "local" and fast:
+        raise ValueError("fast draws are Spark's own: use stepwise")
+    walk = local if strategy == "local" else partial(stepwise, fast=fast)
     if layout == "merged":
-        return walk(walkers, adj, plan.longest, seed, fast)
+        return walk(walkers, adj, plan.longest, seed)
     out = None
     for n in range(1, plan.longest + 1):
         if plan.actual[n] or plan.rounding == "bernoulli":
-            part = walk(walkers.filter(F.col("planned_len") == n), adj, n, seed, fast)
+            part = walk(walkers.filter(F.col("planned_len") == n), adj, n, seed)
             out = part if out is None else out.union(part)
     return out
 

@@ -22,6 +22,11 @@ QUERIES: dict = {}
 ORACLE_SQL: dict[str, str] = {}
 
 
+def nearest(df: DataFrame, col: str) -> DataFrame:
+    """To 9 digits, in doubles alone: closed forms are often halves of the last digit."""
+    return df.withColumn(col, F.floor(F.col(col) * 1e9 + 0.5).cast("double") / F.lit(1e9))
+
+
 def query(oracle: str | None = None):
     def add(f):
         QUERIES[f.__name__] = f
@@ -257,19 +262,19 @@ def exact_single_source_users(spark, d):
 
 
 @query(f"""WITH {_CP}, k AS (SELECT dst, count(*) AS deg FROM p GROUP BY dst)
-    SELECT x.dst AS a, y.dst AS b, round({C} * count(*) / (kx.deg * ky.deg), 9) AS score FROM p x JOIN p y ON x.src = y.src AND x.dst < y.dst JOIN k kx ON kx.dst = x.dst JOIN k ky ON ky.dst = y.dst GROUP BY 1, 2, kx.deg, ky.deg""")
+    SELECT x.dst AS a, y.dst AS b, CAST(floor(CAST({C} AS DOUBLE) * count(*) / (kx.deg * ky.deg) * 1e9 + 0.5) AS DOUBLE) / 1e9 AS score FROM p x JOIN p y ON x.src = y.src AND x.dst < y.dst JOIN k kx ON kx.dst = x.dst JOIN k ky ON ky.dst = y.dst GROUP BY 1, 2, kx.deg, ky.deg""")
 def closed_form_customer_part(spark, d):
-    return rounded(exact.closed_form_two_sided(workloads.customer_part(spark, d, directed=True), C), "score")
+    return nearest(exact.closed_form_two_sided(workloads.customer_part(spark, d, directed=True), C), "score")
 
 
-_TARGET_PAIRS = f"""SELECT x.dst AS a, y.dst AS b, round({C} * count(*) / (kx.deg * ky.deg), 9) AS score FROM directed x JOIN directed y ON x.src = y.src AND x.dst < y.dst
+_TARGET_PAIRS = f"""SELECT x.dst AS a, y.dst AS b, CAST(floor(CAST({C} AS DOUBLE) * count(*) / (kx.deg * ky.deg) * 1e9 + 0.5) AS DOUBLE) / 1e9 AS score FROM directed x JOIN directed y ON x.src = y.src AND x.dst < y.dst
     JOIN k kx ON kx.dst = x.dst JOIN k ky ON ky.dst = y.dst GROUP BY 1, 2, kx.deg, ky.deg"""
 
 
 @query(f"WITH {_LINKS}, k AS (SELECT dst, count(*) AS deg FROM directed GROUP BY dst) {_TARGET_PAIRS}")
 def closed_form_page_targets(spark, d):
     """The recursion itself, which on this graph must give the closed form that the SQL has."""
-    return rounded(exact.all_pairs(workloads.page_links(spark, d), C, 3).filter("a < b"), "score")
+    return nearest(exact.all_pairs(workloads.page_links(spark, d), C, 3).filter("a < b").withColumn("score", F.round("score", 14)), "score")
 
 
 # --- walks --------------------------------------------------------------------------------------
@@ -333,7 +338,7 @@ def walks_local(spark, d):
 def walks_per_length(spark, d):
     g = workloads.nation_trade(spark, d)
     g = graphs.from_edges(g.edges)
-    return walks.generate(g, _planned_of(g), SEED, "stepwise", "per_length")
+    return walks.generate(g, _planned_of(g), SEED, "local", "per_length")
 
 
 @query(f"{_sampled(_TRADE.format(300000))} {_STEPS_OUT}")
@@ -372,7 +377,7 @@ _WARM_N = "(SELECT CAST(ceil(ln(2.0 * n * n) / (2 * pow(0.3, 2))) AS BIGINT) FRO
 @query(f"""{_warm(_WARM_N, f"(SELECT CAST(ceil(3 * ln(n / CAST(0.3 AS DOUBLE)) / ln(1 / sqrt(CAST({C} AS DOUBLE)))) AS INTEGER) FROM n)", str(SOURCE))}
     SELECT source, node, round(count(*) / CAST({_WARM_N} AS DOUBLE), 9) AS score FROM met GROUP BY 1, 2 UNION ALL SELECT id, id, 1.0 FROM src""")
 def warmup_scores(spark, d):
-    return rounded(simrank.warm_up(_pages(spark, d), SOURCE, C, 0.3, SEED), "score")
+    return rounded(simrank.warm_up(_pages(spark, d), SOURCE, C, 0.3, SEED, strategy="local"), "score")
 
 
 @query()
@@ -566,7 +571,7 @@ def error_summary_by_method(spark, d):
     runs = {
         "fixed_length": simrank.single_source(g, SOURCE, C, 0.1, SEED),
         "fixed_length_unbiased": simrank.single_source(g, SOURCE, C, 0.1, SEED, normalization="unbiased"),
-        "warm_up": simrank.warm_up(g, SOURCE, C, 0.2, SEED),
+        "warm_up": simrank.warm_up(g, SOURCE, C, 0.2, SEED, strategy="local"),
         "unidirectional": baselines.unidirectional(g, SOURCE, C, 6, 3000, SEED),
         "linear_constant_diagonal": baselines.linear_jacobi(g, SOURCE, C, 8, diagonal="constant"),
         "linear_forest": baselines.linear_forest(g, SOURCE, C, 8, seed=SEED, pairs=200),
