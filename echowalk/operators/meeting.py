@@ -66,7 +66,7 @@ def aggregate(meets: DataFrame, plan: SamplingPlan, normalization: str = "ideal"
         weight = F.lit(1.0 / plan.expected_total())
     else:
         share = F.array(*(F.lit(s) for s in plan.shares()))
-        base = plan.z if normalization == "ideal" else plan.expected_total()
+        base = plan.z if normalization == "ideal" else plan.z**2 / plan.expected_total()
         if normalization not in ("ideal", "unbiased"):
             raise ValueError(normalization)
         weight = F.element_at(share, F.col("source_len") + 1) * F.element_at(share, F.col("target_len") + 1) / F.lit(base)

@@ -305,7 +305,7 @@ _MEETS = "meets AS (SELECT DISTINCT t.pair, s.start AS source, s.walk_len AS sou
 
 
 def _scores(normalization: str) -> str:
-    weight = {"ideal": "ps.ideal / ps.actual * pt.ideal / pt.actual / z", "unbiased": "ps.ideal / ps.actual * pt.ideal / pt.actual / total", "plain": "1.0 / total"}[normalization]
+    weight = {"ideal": "ps.ideal / ps.actual * pt.ideal / pt.actual / z", "unbiased": "ps.ideal / ps.actual * pt.ideal / pt.actual * total / (z * z)", "plain": "1.0 / total"}[normalization]
     return f"""{_MEETS}, total AS (SELECT sum(actual) AS total FROM plan),
     scores AS (SELECT source, target AS node, sum({weight}) AS score FROM meets JOIN plan ps ON ps.len = source_len JOIN plan pt ON pt.len = target_len, const, total GROUP BY source, target
         UNION ALL SELECT id, id, 1 FROM src)"""

@@ -26,27 +26,28 @@ def finish(scores: DataFrame, source: int, nodes: DataFrame | None = None) -> Da
 
 
 def fused_meets(g: Graph, plan: SamplingPlan, source: int, seed: int, adj: DataFrame | None = None, targets: DataFrame | None = None, fast: bool = False) -> DataFrame:
-    """Meetings found while walking. The source walks first; the others walk only as long as their
-    partner does, and end where they meet it. Only walks still going are moved, and what is sent to
-    all is a step of one node's walks."""
+    """Meetings found while walking. All walk only as long as their partner, the source's walk of the
+    same pair, and end where they meet it. Only walks still going are moved, in one exchange a step,
+    and what is sent to all is a step of one node's walks."""
     adj = walks.prepared(g) if adj is None else adj
     own_start = g.nodes.filter(F.col("id") == source).select("id")
-    every = walks.pre_permuted(g, plan, seed, targets)
-    own = keep(walks.stepwise_pairs(walks.pre_permuted(g, plan, seed, own_start), adj, plan.longest, seed, fast), "source-walks")
+    own_start = g.nodes.filter(F.col("id") == source).select("id")
+    starts = None if targets is None else targets.select("id").union(own_start)
     lengths = keep(walks.pre_permuted(g, plan, seed, own_start).select("pair", F.col("planned_len").alias("source_len")), "source-lengths")
-    ahead = every.filter(F.col("start") != source).join(F.broadcast(lengths), "pair").select("start", "walk_no", "pair", "planned_len", "source_len", F.col("start").alias("node"), "deg")
+    ahead = walks.pre_permuted(g, plan, seed, starts).join(F.broadcast(lengths), "pair").select("start", "walk_no", "pair", "planned_len", "source_len", F.col("start").alias("node"), "deg")
     found = None
     most = lengths.agg(F.max("source_len")).first()[0] or 0
     edges = adj.select("node", "rk", "nbr", F.col("nbr_deg").alias("to_deg"))
     for k in range(1, most + 1):
         ahead = ahead.filter(F.least("planned_len", "source_len") >= k).withColumn("rk", walks.choice(seed, F.lit(k), F.col("deg"), fast)).filter("rk is not null")
-        moved = ahead.join(edges, ["node", "rk"]).select("start", "walk_no", "pair", "planned_len", "source_len", F.col("nbr").alias("node"), F.col("to_deg").alias("deg"))
-        here = own.filter(F.col("step") == k).select("pair", F.col("node").alias("own_node"))
-        step = keep(moved.join(F.broadcast(here), "pair", "left").withColumn("met", F.coalesce(F.col("own_node") == F.col("node"), F.lit(False))).drop("own_node"), "frontier")
-        hits = step.filter("met").select("pair", F.lit(source).cast("long").alias("source"), "source_len", F.col("start").alias("target"), F.col("planned_len").alias("target_len"))
+        step = keep(ahead.join(edges, ["node", "rk"]).select("start", "walk_no", "pair", "planned_len", "source_len", F.col("nbr").alias("node"), F.col("to_deg").alias("deg")), "frontier")
+        own = step.filter(F.col("start") == source).select("pair", F.col("node").alias("own_node"))
+        seen = step.join(F.broadcast(own), "pair")  # a pair whose source walk has stopped has no one to meet
+        met = (F.col("own_node") == F.col("node")) & (F.col("start") != source)
+        hits = seen.filter(met).select("pair", F.lit(source).cast("long").alias("source"), "source_len", F.col("start").alias("target"), F.col("planned_len").alias("target_len"))
         found = hits if found is None else found.union(hits)
-        ahead = step.filter("not met").drop("met")
-        if ahead.isEmpty():
+        ahead = seen.filter(~met).drop("own_node")
+        if k % 4 == 0 and ahead.isEmpty():
             break
     if found is None:
         return ahead.limit(0).select("pair", F.lit(source).cast("long").alias("source"), "source_len", F.col("start").alias("target"), F.col("planned_len").alias("target_len"))
