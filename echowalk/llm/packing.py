@@ -93,7 +93,7 @@ def plan_classes(counts: dict[int, int], capacity: int) -> tuple[np.ndarray, int
             put(gap, first + used, n - used)
             left -= placed
             rank += placed
-    return np.array(rows, np.int64).reshape(-1, 5), sequences
+    return np.array(sorted(rows), np.int64).reshape(-1, 5), sequences
 
 
 _SHIFT = 1 << 40
