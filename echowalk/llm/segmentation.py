@@ -24,9 +24,12 @@ table gives no rows.
 
 from __future__ import annotations
 
+import math
 import zlib
+from bisect import bisect_right
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -35,6 +38,8 @@ from pyspark.sql import DataFrame
 from .common import SpanHash, documents, mix, ship, slices
 
 _U = np.uint64
+_ALL = 2**64 - 1
+_LEAST = 1e-12  # what rounding leaves of no probability
 _MARK = "▁"
 
 
@@ -67,6 +72,13 @@ class Pieces:
         self.hash, self.id, self.weight = h[order], np.array(normal, np.int64)[order], weight[order]
         if (self.hash[1:] == self.hash[:-1]).any():
             raise ValueError("two pieces share a hash")
+        self.slots, left = [], np.arange(len(self.hash))
+        while len(left):  # a piece whose slot is taken goes to the next table
+            table = np.full(1 << 20, -1, np.int32)
+            slot, first = np.unique(self._slot(self.hash[left], len(self.slots)), return_index=True)
+            table[slot] = left[first]
+            left = np.delete(left, first)
+            self.slots.append(table)
         self.byte_id = np.full(256, model.unk_id(), np.int64)
         for i in range(n):
             if model.is_byte(i):
@@ -76,6 +88,22 @@ class Pieces:
         self.bytes = np.frombuffer(b"".join(said), np.uint8)
         self.bytes_from = np.concatenate([[0], np.cumsum([len(s) for s in said])])
 
+    @staticmethod
+    def _slot(h: np.ndarray, table: int) -> np.ndarray:
+        return (h >> _U(max(0, 44 - 12 * table))) & _U((1 << 20) - 1)
+
+    def find(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Which of the hashes are pieces' (as indices), and the pieces' places."""
+        out = self.slots[0][self._slot(h, 0)]
+        likely = np.flatnonzero(out >= 0)
+        place, h = out[likely], h[likely]
+        for n in range(1, len(self.slots)):
+            wrong = np.flatnonzero(self.hash[place] != h)
+            other = self.slots[n][self._slot(h[wrong], n)]
+            place[wrong[other >= 0]] = other[other >= 0]
+        right = self.hash[place] == h
+        return likely[right], place[right]
+
     def decode(self, ids: np.ndarray) -> bytes:
         ids = np.asarray(ids, np.int64)
         at = _ranges(self.bytes_from[ids], self.bytes_from[ids + 1] - self.bytes_from[ids])
@@ -119,13 +147,11 @@ class Lattice:
             position = position[left[position] >= n]
             if not len(position):
                 break
-            h = spans.of(position, position + n)
-            k = np.minimum(np.searchsorted(pieces.hash, h), len(pieces.hash) - 1)
-            hit = pieces.hash[k] == h
+            hit, k = pieces.find(spans.of(position, position + n))
             at.append(position[hit])
-            length.append(np.full(int(hit.sum()), n))
-            piece.append(pieces.id[k[hit]])
-            weight.append(pieces.weight[k[hit]] * smooth)
+            length.append(np.full(len(k), n))
+            piece.append(pieces.id[k])
+            weight.append(pieces.weight[k] * smooth)
         bare = np.ones(len(own), bool)
         if at:
             bare[at[0]] = False
@@ -137,12 +163,12 @@ class Lattice:
         piece.append(-1 - chars.astype(np.int64))
         weight.append(width * pieces.byte_weight * smooth)
         at, length, piece, weight = (np.concatenate(x) for x in (at, length, piece, weight))
-        order = np.lexsort((length, at))
+        order = np.argsort(at * 64 - length, kind="stable")  # by start, the longest first
         self.at, self.to, self.piece, weight = at[order], (at + length)[order], piece[order], weight[order]
         # a chunk's last position leads to 0, whichever chunk's first position has its number
         rest = np.zeros(len(own) + 1)
         from_end = self.left[self.at]
-        by = np.argsort(from_end, kind="stable")
+        by = np.argsort(from_end.astype(np.int16) if from_end.max(initial=0) < 1 << 15 else from_end, kind="stable")
         turn = np.searchsorted(from_end[by], np.arange(1, (from_end.max() if len(by) else 0) + 2))
         ends_here = from_end == self.to - self.at
         for a, b in zip(turn[:-1], turn[1:]):
@@ -158,14 +184,21 @@ class Lattice:
         self.log_p = weight + np.where(ends_here, 0.0, rest[self.to]) - rest[self.at]
         self.first_edge = np.searchsorted(self.at, np.arange(len(own) + 1))
         p = np.exp(self.log_p)
+        with np.errstate(divide="ignore"):
+            self.log_rest = np.where(1.0 - p > _LEAST, np.log(np.maximum(1.0 - p, 0.0)), -np.inf)  # of all else at its start
         upto = np.cumsum(p)
-        before = np.concatenate([[0.0], upto])[self.first_edge[self.at]]
-        self.pick = self.at + np.minimum(upto - before, 1.0)
-        self.pick[self.first_edge[1:][np.diff(self.first_edge) > 0] - 1] = np.unique(self.at) + 1.0
+        self.upto = upto - np.concatenate([[0.0], upto])[self.first_edge[self.at]]  # within the edge's start
+        self.last = np.zeros(len(p), bool)
+        self.last[self.first_edge[1:][np.diff(self.first_edge) > 0] - 1] = True
 
     def choose(self, position: np.ndarray, u: np.ndarray) -> np.ndarray:
-        e = np.searchsorted(self.pick, position + u, "right")
-        return np.clip(e, self.first_edge[position], self.first_edge[position + 1] - 1)
+        e = self.first_edge[position]
+        on = np.flatnonzero((self.upto[e] < u) & ~self.last[e])
+        while len(on):
+            e[on] += 1
+            x = e[on]
+            on = on[(self.upto[x] < u[on]) & ~self.last[x]]
+        return e
 
     def walk(self, position: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Edges of a random path from each position to its chunk's end, in order, and their numbers."""
@@ -187,6 +220,14 @@ def _uniform(key: np.ndarray) -> np.ndarray:
     return ((mix(key * _U(0x9E3779B97F4A7C15) + _U(1)) >> _U(11)).astype(np.float64) + 0.5) * 2.0**-53
 
 
+def _uniform_one(key: int) -> float:
+    """``_uniform`` of one key."""
+    x = (key * 0x9E3779B97F4A7C15 + 1) & _ALL
+    x = ((x ^ (x >> 30)) * 0xBF58476D1CE4E5B9) & _ALL
+    x = ((x ^ (x >> 27)) * 0x94D049BB133111EB) & _ALL
+    return (((x ^ (x >> 31)) >> 11) + 0.5) * 2.0**-53
+
+
 def _truncated(location: np.ndarray, bound: float, u: np.ndarray) -> np.ndarray:
     """Gumbel variates of the given locations, given that they stay below ``bound``."""
     with np.errstate(divide="ignore"):
@@ -202,14 +243,12 @@ class Path:
         log_p = lattice.log_p[edges]
         reach = np.concatenate([[0.0], np.cumsum(log_p)])
         self.log_prob = float(reach[-1])
-        with np.errstate(divide="ignore"):
-            other = np.log(np.maximum(0.0, -np.expm1(log_p[since:])))
-            if len(without) and len(other):
-                other[0] = np.log(max(0.0, 1.0 - float(np.exp(lattice.log_p[without]).sum())))
-        other[other < -30] = -np.inf  # what rounding leaves of nothing
+        other = lattice.log_rest[edges[since:]]
+        if len(without) and len(other):
+            left = 1.0 - float(np.exp(lattice.log_p[without]).sum())
+            other[0] = math.log(left) if left > _LEAST else -np.inf
         location = reach[since:-1] + other
         self.bounds = _truncated(location, value, _uniform(key + np.arange(len(other), dtype=_U)))
-        self.bounds[np.isneginf(other)] = -np.inf
         self._look()
 
     def _look(self) -> None:
@@ -228,9 +267,10 @@ class Path:
 def sample_text(lattice: Lattice, chunks: np.ndarray, fresh: list[tuple[np.ndarray, np.ndarray]], key: np.uint64) -> tuple[list[Path], float]:
     """Paths in order of value, as many as ``fresh`` has independent walks (edges, first edge of each
     chunk), and the value after the last."""
-    draw = lambda n: _uniform(np.array([key + _U(n)], _U))[0]
+    base = int(key)
+    draw = lambda n: _uniform_one((base + n) & _ALL)
     edges, _ = fresh[0]
-    paths = [Path(lattice, edges, float(-np.log(-np.log(draw(1)))), 0, [], key + _U(1 << 40))]
+    paths = [Path(lattice, edges, -math.log(-math.log(draw(1))), 0, [], key + _U(1 << 40))]
     while True:
         source = max(paths, key=lambda p: p.best)
         if len(paths) == len(fresh) or np.isneginf(source.best):
@@ -238,13 +278,15 @@ def sample_text(lattice: Lattice, chunks: np.ndarray, fresh: list[tuple[np.ndarr
         k = len(paths)
         value, place, without = source.take()
         position = lattice.at[source.edges[place]]
-        options = np.setdiff1d(np.arange(lattice.first_edge[position], lattice.first_edge[position + 1]), without)
-        share = np.cumsum(np.exp(lattice.log_p[options]))
-        edge = int(options[min(len(options) - 1, int(np.searchsorted(share, draw(16 * k) * share[-1], "right")))])
+        options = [e for e in range(lattice.first_edge[position], lattice.first_edge[position + 1]) if e not in without]
+        share = list(accumulate(math.exp(lattice.log_p[e]) for e in options))
+        edge = options[min(len(options) - 1, bisect_right(share, draw(16 * k) * share[-1]))]
         tail, n = [edge], 0
         while not lattice.ends_here[edge]:
             n += 1
-            edge = int(lattice.choose(lattice.to[edge : edge + 1], _uniform(np.array([key + _U((k << 20) + n)], _U)))[0])
+            u, edge = draw((k << 20) + n), int(lattice.first_edge[lattice.to[edge]])
+            while lattice.upto[edge] < u and not lattice.last[edge]:
+                edge += 1
             tail.append(edge)
         chunk = int(np.count_nonzero(lattice.ends_here[source.edges[:place]]))
         walked, first = fresh[k]
@@ -297,7 +339,7 @@ def sample_segmentations(df: DataFrame, model_path: str, k: int = 3, seed: int =
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pieces = load(model_path)
-        for batch in slices(batches, most=1 << 20):
+        for batch in slices(batches, most=2 << 20):
             ids, texts = batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()
             rows = []
             for d, n, found, log_prob, value, inclusion in sample_slice(pieces, ids, texts, k, seed, smooth):
