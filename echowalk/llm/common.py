@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _U = np.uint64
-_written: list[tuple[SparkSession, str]] = []
+_written: dict[str, SparkSession] = {}
 
 
 def ship(spark: SparkSession) -> None:
@@ -37,22 +37,55 @@ def shared_folder(spark: SparkSession) -> str:
     return base or f"/tmp/checkpoints/{spark.sparkContext.applicationId}"
 
 
+_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def stash(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: cuts lineage, survives lost executors."""
+    """Write ``df`` to the shared folder and read it back: cuts lineage, survives lost executors. The
+    shuffle files that the write needed go when it is done, where Spark can do that."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    _written.append((spark, path))
-    return spark.read.schema(df.schema).parquet(path)
+    before = spark.conf.get(_CLEAN, None)
+    if before is not None:
+        spark.conf.set(_CLEAN, "true")
+    try:
+        df.write.option("compression", "zstd").parquet(path)
+    finally:
+        if before is not None:
+            spark.conf.set(_CLEAN, before)
+    out = spark.read.schema(df.schema).parquet(path)
+    _written[path] = spark
+    out._stash_path = path
+    return out
+
+
+def _delete(path: str) -> None:
+    spark = _written.pop(path)
+    with contextlib.suppress(Exception):  # the session may have ended
+        at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete stashed tables that nothing will read again."""
+    for t in tables:
+        if getattr(t, "_stash_path", None) in _written:
+            _delete(t._stash_path)
+
+
+def stashed() -> set[str]:
+    """Paths of all stashed tables that are still there."""
+    return set(_written)
+
+
+def discard_paths(paths: set[str]) -> None:
+    for path in paths & set(_written):
+        _delete(path)
 
 
 @atexit.register
 def _clear() -> None:
-    for spark, path in _written:
-        with contextlib.suppress(Exception):  # the session may have ended
-            jvm = spark.sparkContext._jvm
-            at = jvm.org.apache.hadoop.fs.Path(path)
-            at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+    discard_paths(stashed())
 
 
 def documents(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stash
+from .common import discard, stash
 
 
 def connected_components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
@@ -29,7 +29,8 @@ def connected_components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         floor = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(floor, "u").select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v"))
         small = small.union(large.join(floor, "u").select("u", F.col("m").alias("v")))
-        now = stash(_oriented(small.select(F.col("u").alias("a"), F.col("v").alias("b"))), "edges")
+        old, now = now, stash(_oriented(small.select(F.col("u").alias("a"), F.col("v").alias("b"))), "edges")
+        discard(old)
         before, state = state, _state(now)
         if before == state:
             return now.select(F.col("u").alias("node"), F.col("v").alias("root"))

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import SpanHash, Words, byte_table, documents, row_key, ship, slices, stash
+from .common import SpanHash, Words, byte_table, discard, documents, row_key, ship, slices, stash
 
 _AS_IS = byte_table(lower=False)
 _SECOND = 0xD6E8FEB86659FD93
@@ -226,6 +226,7 @@ def remove_repeats(df: DataFrame, window: int = 35, gram: int = 6, id_col: str =
     said = said.groupBy(F.col("k0").alias("_k0"), F.col("k1").alias("_k1")).agg(F.collect_list(F.struct("lo", "hi", "kind")).alias("said"))
     joined = docs.join(said, ["_k0", "_k1"], "left").select("doc_id", "_k0", "_k1", "text", "said")
     step = stash(joined.mapInArrow(_extend(window, hold, with_text), _OUT_SQL), "extended")
+    discard(settled, mixed)
     ask = step.filter(F.col("kind") == _WINDOW).select("h1", "h2", "k0", "k1", "at", "state")
     found = ask.withColumn("n", F.count(F.lit(1)).over(equal)).filter(((F.col("state") == _NEED) & (F.col("n") > 1)) | F.col("state").isin(_SENT, _DECIDED))
     found = found.groupBy("k0", "k1").agg(F.collect_list("at").alias("at"))

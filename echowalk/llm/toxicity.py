@@ -119,7 +119,7 @@ def fit(df: DataFrame, labels: DataFrame, sample: int = 12_000, bits: int = 20,
     def learn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = [(mix(np.array([i], np.int64).view(np.uint64))[0], np.asarray(x.values), y) for b in batches for i, y, x in zip(b.column("id").to_pylist(), b.column("label").to_pylist(), b.column("index"))]
         seen.sort(key=lambda e: (int(e[0]), len(e[1])))
-        w = train([(index.astype(np.int64), int(label == 1)) for _, index, label in seen], bits)
+        w = train([(index, int(label == 1)) for _, index, label in seen], bits)
         yield pa.RecordBatch.from_arrays([pa.array(np.append(w.index, -1), pa.int64()), pa.array(np.append(w.value, w.bias), pa.float64())], ["index", "value"])
 
     sampled = docs.mapInArrow(featurise, "id long, label int, index array<int>")
