@@ -228,10 +228,8 @@ def _uniform_one(key: int) -> float:
     return (((x ^ (x >> 31)) >> 11) + 0.5) * 2.0**-53
 
 
-def _truncated(location: np.ndarray, bound: float, u: np.ndarray) -> np.ndarray:
-    """Gumbel variates of the given locations, given that they stay below ``bound``."""
-    with np.errstate(divide="ignore"):
-        return -np.logaddexp(-bound, np.log(-np.log(u)) - location)
+def _gumbel(u: np.ndarray) -> np.ndarray:
+    return -np.log(-np.log(u))
 
 
 class Path:
@@ -247,13 +245,15 @@ class Path:
         if len(without) and len(other):
             left = 1.0 - float(np.exp(lattice.log_p[without]).sum())
             other[0] = math.log(left) if left > _LEAST else -np.inf
-        location = reach[since:-1] + other
-        self.bounds = _truncated(location, value, _uniform(key + np.arange(len(other), dtype=_U)))
+        # as if not truncated: truncation at ``value`` keeps their order
+        self.bounds = reach[since:-1] + other + _gumbel(_uniform(key + np.arange(len(other), dtype=_U)))
         self._look()
 
     def _look(self) -> None:
         self.at = int(np.argmax(self.bounds)) if len(self.bounds) else -1
-        self.best = float(self.bounds[self.at]) if self.at >= 0 else -np.inf
+        free = float(self.bounds[self.at]) if self.at >= 0 else -np.inf
+        # the greatest of Gumbel variates that stay below ``value``
+        self.best = -float(np.logaddexp(-self.value, -free)) if free > -np.inf else -np.inf
 
     def take(self) -> tuple[float, int, list[int]]:
         """The best bound, its place, and the edges excluded there; it is then gone from this path."""
@@ -321,6 +321,11 @@ def sample_slice(pieces: Pieces, ids: list, texts: list[str], k: int, seed: int,
 def _ids(pieces: Pieces, found: np.ndarray) -> np.ndarray:
     if len(found) and found.min() >= 0:
         return found
+    plain = (found < 0) & (found >= -128)  # one byte each
+    if plain.any():
+        found = np.where(plain, pieces.byte_id[np.where(plain, -1 - found, 0)], found)
+    if not len(found) or found.min() >= 0:
+        return found
     out: list[np.ndarray] = []
     bare = np.flatnonzero(found < 0)
     last = 0
