@@ -756,4 +756,4 @@ def length_plan_table_function(spark, d):
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The ten nodes most similar to the source, by the fixed-length-plan method."""
-    return simrank.top_k(simrank.single_source(_pages(spark, sf_dir), SOURCE, C, EPS, SEED), 10)
+    return simrank.top_k(simrank.single_source(_pages(spark, sf_dir), SOURCE, C, EPS, SEED, strategy="local", method="broadcast_join"), 10)
