@@ -104,6 +104,11 @@ def row_key(df: DataFrame) -> DataFrame:
     )
 
 
+def numbered(df: DataFrame) -> DataFrame:
+    """``df`` with a number ``_row`` for every row, written so that it holds: ids may repeat or be null."""
+    return stash(df.withColumn("_row", F.monotonically_increasing_id()), "numbered")
+
+
 def slices(batches: Iterator[pa.RecordBatch], text: str = "text", most: int = 1 << 21) -> Iterator[pa.RecordBatch]:
     """Cut batches so that a slice has ``most`` bytes of text or one row."""
     for batch in batches:

@@ -202,10 +202,3 @@ def near_components(df: DataFrame, shingle: int = 3, distance: int = 3, seed: in
     by_fp = nodes.join(roots, "node", "left").select("fp", F.coalesce("root", "node").alias("component"))
     real = F.when(F.col("component") < (1 << 62), F.col("component"))
     return docs.join(by_fp, "fp").select("doc_id", "fp", real.alias("component_id"))
-
-
-def keep_representatives(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """Rows of ``df``, all columns, one for each component: that of the least id. Rows without an
-    id stay."""
-    gone = near_components(df, id_col=id_col, text_col=text_col, **options).filter("doc_id != component_id").select(F.col("doc_id").alias("_gone_id")).distinct()
-    return df.join(gone, F.col(id_col) == F.col("_gone_id"), "left_anti")
