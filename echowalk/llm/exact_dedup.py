@@ -24,7 +24,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import documents, ship, slices, stash, task_id
+from .common import documents, numbered, ship, slices, stash, task_id
 
 _BLANKS = bytes([9, 10, 11, 12, 13, 32])
 _NO_ID = 2**63 - 1
@@ -129,10 +129,11 @@ def _fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             else:
                 best[g] = min(best[g], rank)
                 count[g] += 1
+        more = [k for k, name in enumerate(batch.schema.names) if name not in ("doc_id", "text")]
         seen: set[int] = set()
         lead = [g not in seen and not seen.add(g) for g in of]
         pick = lambda values: [values[g] if first else None for g, first in zip(of, lead)]
-        yield pa.record_batch(
+        yield pa.RecordBatch.from_arrays(
             [
                 pa.array(ids, pa.int64()),
                 pa.array(range(uid, uid + len(of)), pa.int64()),
@@ -143,8 +144,9 @@ def _fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 pa.array(pick([-b[0] for b in best]), pa.int64()),
                 pa.array(pick([b[1] for b in best]), pa.int64()),
                 pa.array(pick([b[2] for b in best]), pa.int64()),
+                *(batch.column(k) for k in more),
             ],
-            schema=_ROWS,
+            [*_ROWS.names, *(batch.schema.names[k] for k in more)],
         )
         uid += len(of)
     assert uid - base < 1 << 36
@@ -172,23 +174,29 @@ def _settle(memory: int):
     return run
 
 
-def exact_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", memory: int = 96 << 20) -> DataFrame:
-    """doc_id, keep_id, group_size, kept, text_sha256 for every row of ``df``. Of a group the row
-    with the most code points stays, then the smallest id. ``memory``: bytes of distinct content
-    that a task holds before it deals them out to spill files."""
-    ship(df.sparkSession)
-    rows = stash(documents(df, id_col, text_col).mapInArrow(_fold, _ROWS_SQL), "contents")
+def _groups(docs: DataFrame, memory: int, more: str = "") -> DataFrame:
+    """Every row of ``docs`` (doc_id, text and the columns of ``more``) with what its group decides."""
+    ship(docs.sparkSession)
+    rows = stash(docs.mapInArrow(_fold, _ROWS_SQL + more), "contents")
     groups = (
         rows.filter(F.col("content").isNotNull())
         .select("digest", "content", "gid", "n", "best_chars", "best_id", "best_uid")
         .repartition("digest")
         .mapInArrow(_settle(memory), "gid long, keep_id long, keep_uid long, group_size long")
     )
-    members = rows.select("doc_id", "uid", "gid", F.lower(F.hex("digest")).alias("text_sha256"))
-    return members.join(groups, "gid").select("doc_id", "keep_id", "group_size", (F.col("uid") == F.col("keep_uid")).alias("kept"), "text_sha256")
+    return rows.drop("content", "n", "best_chars", "best_id", "best_uid").join(groups, "gid").withColumn("kept", F.col("uid") == F.col("keep_uid"))
+
+
+def exact_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", memory: int = 96 << 20) -> DataFrame:
+    """doc_id, keep_id, group_size, kept, text_sha256 for every row of ``df``. Of a group the row
+    with the most code points stays, then the smallest id. ``memory``: bytes of distinct content
+    that a task holds before it deals them out to spill files."""
+    return _groups(documents(df, id_col, text_col), memory).select("doc_id", "keep_id", "group_size", "kept", F.lower(F.hex("digest")).alias("text_sha256"))
 
 
-def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows of ``df``, all columns, one for each content. Ids must tell rows apart."""
-    kept = exact_duplicates(df, id_col, text_col).filter("kept").select(F.col("doc_id").alias("_kept_id"))
-    return df.join(kept, F.col(id_col).eqNullSafe(F.col("_kept_id")), "left_semi")
+def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", memory: int = 96 << 20) -> DataFrame:
+    """Rows of ``df``, all columns, one for each content; ids may repeat or be null."""
+    df = numbered(df)
+    docs = df.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"), "_row")
+    kept = _groups(docs, memory, ", _row long").filter("kept").select("_row")
+    return df.join(kept, "_row", "left_semi").drop("_row")
