@@ -1,14 +1,16 @@
 """Cross-entropy difference of a target and a background n-gram model.
 
-Both are interpolated bigram models over one vocabulary: the most frequent words
-of all documents, one class for all others, and a mark for the text's start.
+Both are interpolated bigram models over one vocabulary, all words of all documents
+(or, if asked, the most frequent ones and one class for all others), and a mark for
+the text's start.
 They are counted over all documents (background) and all target documents, and
 smoothed alike. A document's score is the mean over its words of the loss under
 the target model less the loss under the background model: below zero, it is
 nearer to the target.
 
-Counts are dense over the vocabulary, so what is sent to the executors is
-bounded by its size, whatever the input; counting itself covers every word.
+Bigrams are counted in a table that grows with the input and stays distributed,
+keyed by 64-bit hashes; the distinct bigrams of each document are joined to it. With
+a vocabulary of given size the counts are dense and sent to the executors.
 
 Defined results: a text without words has null losses; null text is empty; rows
 that repeat are counted and scored each time; without target documents the
@@ -25,7 +27,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SpanHash, Words, byte_table, documents, ship, slices
+from .common import SpanHash, Words, byte_table, documents, mix, ship, slices, stash, task_id
 
 _TABLE = byte_table(lower=True)
 
@@ -126,14 +128,105 @@ def losses(counts: np.ndarray, weight: float = 0.7, add: float = 0.5) -> np.ndar
     return -np.log2(share * counts / np.maximum(seen, 1) + (1 - share) * single)
 
 
-def score_documents(df: DataFrame, target: DataFrame, vocabulary_size: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+_START = np.uint64(0x2545F4914F6CDD1D)
+
+
+def _grams(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Predecessor, word and a hash of both for every word."""
+    h = word_hashes(w)
+    before = np.concatenate([[_START], h[:-1]])[: len(h)].astype(np.uint64)
+    before[w.first[:-1][np.diff(w.first) > 0]] = _START
+    return before, h, mix(mix(before) + h)
+
+
+def _count_grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    held: list[tuple[np.ndarray, ...]] = []
+
+    def folded() -> tuple[np.ndarray, ...]:
+        gram, before, word, n, good = (np.concatenate(c) for c in zip(*held))
+        key, first, at = np.unique(gram, return_index=True, return_inverse=True)
+        return key, before[first], word[first], *(np.bincount(at, weights=x, minlength=len(key)).astype(np.int64) for x in (n, good))
+
+    def done() -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(x.view(np.int64)) for x in folded()], ["gram", "before", "word", "n", "good"])
+
+    for batch in slices(batches):
+        w = Words(batch.column("text"), _TABLE)
+        before, word, gram = _grams(w)
+        held.append((gram, before, word, np.ones(len(gram), np.int64), np.repeat(np.asarray(batch.column("target")), np.diff(w.first)).astype(np.int64)))
+        if sum(len(x[0]) for x in held) > 2_000_000:
+            held[:] = [folded()]
+            if len(held[0][0]) > 1_000_000:
+                yield done()
+                held.clear()
+    if held:
+        yield done()
+
+
+def gram_losses(docs: DataFrame, weight: float = 0.7, add: float = 0.5) -> DataFrame:
+    """gram, target_loss, background_loss of every bigram of ``docs`` (text, target): what ``losses``
+    has of a dense table, by joins of the counted bigrams to the sums by predecessor and by word."""
+    counted = docs.mapInArrow(_count_grams, "gram long, before long, word long, n long, good long")
+    counted = stash(counted.groupBy("gram").agg(F.first("before").alias("before"), F.first("word").alias("word"), F.sum("n").alias("n"), F.sum("good").alias("good")), "bigrams")
+    sums = lambda key, n, good: counted.groupBy(key).agg(F.sum("n").alias(n), F.sum("good").alias(good))
+    singles = stash(sums("word", "wn", "wgood"), "words")
+    total = singles.agg(F.count(F.lit(1)).alias("v"), F.sum("wn").alias("n"), F.sum("wgood").alias("good")).first()
+
+    def loss(n: str, seen: str, single: str, all_of: int):
+        share = F.when(F.col(seen) > 0, F.lit(weight)).otherwise(0.0)
+        one = (F.col(single) + add) / F.lit((all_of or 0) + add * (total["v"] + 1))
+        return -F.log2(share * F.col(n) / F.greatest(F.col(seen), F.lit(1)) + (1 - share) * one)
+
+    met = counted.join(singles, "word").join(sums("before", "bn", "bgood"), "before")
+    return stash(met.select("gram", loss("good", "bgood", "wgood", total["good"]).cast("float").alias("target_loss"), loss("n", "bn", "wn", total["n"]).cast("float").alias("background_loss")), "gram-losses")
+
+
+def _grams_of_documents(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The distinct bigrams of each row, and a first record with its id and words for each row."""
+    base = task_id() << 36
+    for batch in slices(batches):
+        w = Words(batch.column("text"), _TABLE)
+        gram, n = _grams(w)[2], np.diff(w.first)
+        doc = w.doc_of_word()
+        order = np.lexsort((gram, doc))
+        gram, doc = gram[order], doc[order]
+        new = np.flatnonzero(np.concatenate([[True], (gram[1:] != gram[:-1]) | (doc[1:] != doc[:-1])])) if len(gram) else np.zeros(0, np.int64)
+        row = base + np.arange(len(n))
+        ids = pa.concat_arrays([batch.column("doc_id"), pa.nulls(len(new), pa.int64())])
+        yield pa.RecordBatch.from_arrays(
+            [
+                pa.array(np.concatenate([row, row[doc[new]]])),
+                ids,
+                pa.concat_arrays([pa.array(n, pa.int32()), pa.nulls(len(new), pa.int32())]),
+                pa.array(np.concatenate([mix(row.astype(np.uint64)), gram[new]]).view(np.int64)),
+                pa.array(np.concatenate([np.zeros(len(n)), np.diff(np.append(new, len(gram)))]).astype(np.int32)),
+            ],
+            ["row", "doc_id", "n_words", "gram", "times"],
+        )
+        base += len(n)
+
+
+def score_by_grams(docs: DataFrame, table: DataFrame) -> DataFrame:
+    grams = docs.mapInArrow(_grams_of_documents, "row long, doc_id long, n_words int, gram long, times int")
+    met = grams.join(table, "gram", "left")
+    words = F.max("n_words").cast("long")
+    mean = lambda c: F.when(words > 0, F.sum(F.col(c).cast("double") * F.col("times")) / words).alias(c)
+    out = met.groupBy("row").agg(F.max("doc_id").alias("doc_id"), words.alias("n_words"), mean("target_loss"), mean("background_loss"))
+    return out.select("doc_id", "n_words", "target_loss", "background_loss", (F.col("target_loss") - F.col("background_loss")).alias("score"))
+
+
+def score_documents(df: DataFrame, target: DataFrame, vocabulary_size: int | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_words, target_loss, background_loss, score (their difference) for every row of
-    ``df``; ``target``: ids (doc_id) of the target documents."""
+    ``df``; ``target``: ids (doc_id) of the target documents. ``vocabulary_size``: words that are told
+    apart, by dense tables; all words if None."""
     ship(df.sparkSession)
     docs = documents(df, id_col, text_col)
-    words = vocabulary(docs, vocabulary_size)
     marks = target.select(F.col("doc_id").alias("_id")).filter("_id is not null").distinct().withColumn("_target", F.lit(True)).hint("merge")  # the same plan at every size
-    counts = count_bigrams(docs.join(marks, F.col("doc_id") == F.col("_id"), "left").select("text", F.coalesce("_target", F.lit(False)).alias("target")), words)
+    marked = docs.join(marks, F.col("doc_id") == F.col("_id"), "left").select("text", F.coalesce("_target", F.lit(False)).alias("target"))
+    if vocabulary_size is None:
+        return score_by_grams(docs, gram_losses(marked))
+    words = vocabulary(docs, vocabulary_size)
+    counts = count_bigrams(marked, words)
     size = len(words)
     shared = df.sparkSession.sparkContext.broadcast((words, np.stack([losses(counts[1]), losses(counts[0])]).astype(np.float32)))
 
