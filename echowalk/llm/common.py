@@ -15,6 +15,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -105,8 +106,12 @@ def row_key(df: DataFrame) -> DataFrame:
 
 
 def numbered(df: DataFrame) -> DataFrame:
-    """``df`` with a number ``_row`` for every row, written so that it holds: ids may repeat or be null."""
-    return stash(df.withColumn("_row", F.monotonically_increasing_id()), "numbered")
+    """``df`` with a key ``_row`` of every row, since ids may repeat or be null: file and place of rows
+    that are read from files, else a number that is written so that it holds."""
+    try:
+        return df.select("*", F.xxhash64("_metadata.file_path", "_metadata.row_index").alias("_row"))
+    except AnalysisException:
+        return stash(df.withColumn("_row", F.monotonically_increasing_id()), "numbered")
 
 
 def slices(batches: Iterator[pa.RecordBatch], text: str = "text", most: int = 1 << 21) -> Iterator[pa.RecordBatch]:
