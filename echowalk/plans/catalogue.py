@@ -261,6 +261,13 @@ def exact_single_source_users(spark, d):
     return rounded(exact.single_source(g, first, C, 5), "score")
 
 
+@query()
+def exact_single_source_users_all_events(spark, d):
+    """The query above over the whole table; its SQL covers one day only."""
+    g = workloads.user_transition(spark, d)
+    return rounded(exact.single_source(g, g.nodes.agg(F.min("id")).first()[0], C, 5), "score")
+
+
 @query(f"""WITH {_CP}, k AS (SELECT dst, count(*) AS deg FROM p GROUP BY dst)
     SELECT x.dst AS a, y.dst AS b, CAST(floor(CAST({C} AS DOUBLE) * count(*) / (kx.deg * ky.deg) * 1e9 + 0.5) AS DOUBLE) / 1e9 AS score FROM p x JOIN p y ON x.src = y.src AND x.dst < y.dst JOIN k kx ON kx.dst = x.dst JOIN k ky ON ky.dst = y.dst GROUP BY 1, 2, kx.deg, ky.deg""")
 def closed_form_customer_part(spark, d):
