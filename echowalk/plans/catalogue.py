@@ -132,6 +132,14 @@ def graph_doc_lines(spark, d):
     k AS (SELECT word, row_number() OVER (ORDER BY word) - 1 AS rank FROM (SELECT word FROM w GROUP BY word HAVING count(DISTINCT conv_id) BETWEEN 2 AND 50)),
     p AS (SELECT DISTINCT conv_id * 2 AS src, rank * 2 + 1 AS dst FROM w JOIN k USING (word)) SELECT src, dst FROM p UNION SELECT dst, src FROM p""")
 def graph_conversation_tokens(spark, d):
+    return _edges(workloads.conversation_tokens(spark, d, max_df=50))
+
+
+@query("""WITH w AS (SELECT DISTINCT conv_id, word FROM (SELECT conv_id, unnest(string_split_regex(lower(text), '[^a-z]+')) AS word FROM conversations WHERE role = 'user') WHERE word <> ''),
+    k AS (SELECT word, row_number() OVER (ORDER BY word) - 1 AS rank FROM (SELECT word FROM w GROUP BY word HAVING count(DISTINCT conv_id) >= 2)),
+    p AS (SELECT DISTINCT conv_id * 2 AS src, rank * 2 + 1 AS dst FROM w JOIN k USING (word)) SELECT src, dst FROM p UNION SELECT dst, src FROM p""")
+def graph_conversation_all_tokens(spark, d):
+    """The graph above without its upper bound, which drops more words the more conversations there are."""
     return _edges(workloads.conversation_tokens(spark, d))
 
 

@@ -108,8 +108,8 @@ def doc_lines(spark: SparkSession, sf_dir: str, min_docs: int = 2) -> Graph:
     return _two_sided(lines.join(numbered, "line").select("doc_id", "rank"), "doc_id", "rank", ("document", "line"), False)
 
 
-def conversation_tokens(spark: SparkSession, sf_dir: str, role: str = "user", max_df: int = 50) -> Graph:
-    """Conversations to the words of ``role`` that 2 to ``max_df`` of them have."""
+def conversation_tokens(spark: SparkSession, sf_dir: str, role: str = "user", max_df: int | None = None) -> Graph:
+    """Conversations to the words of ``role`` that two or more (and at most ``max_df``, if given) of them have."""
     words = read(spark, sf_dir, "conversations").filter(F.col("role") == role).select("conv_id", F.explode(F.split(F.lower("text"), "[^a-z]+")).alias("word")).filter("word != ''").distinct()
     numbered = keep(global_rank(_kept_keys(words, "word", "conv_id", 2, max_df).select("word"), ["word"]), "words")
     return _two_sided(words.join(numbered, "word").select("conv_id", "rank"), "conv_id", "rank", ("conversation", "word"), False)

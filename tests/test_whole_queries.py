@@ -3,7 +3,6 @@
 from collections import defaultdict
 
 import pytest
-from pyspark.sql import functions as F
 
 from echowalk.operators import exact
 from echowalk.plans import catalogue
@@ -17,3 +16,23 @@ def test_user_scores_take_all_events(spark, sf):
     want = exact.local_matrix(edges, nodes, catalogue.C, 5)[0]
     got = {r["node"]: r["score"] for r in catalogue.QUERIES["exact_single_source_users_all_events"](spark, sf).collect()}
     assert [got.get(n, 0.0) for n in nodes] == pytest.approx(list(want), abs=1e-8)
+
+
+def test_conversation_graph_has_frequent_words(spark, sf, tmp_path):
+    rows = [(i, 0, "user", f"the w{'ab'[i % 2]} once{'abcdefghijklmnopqrstuvwxyz'[i % 26] * (1 + i // 26)}") for i in range(120)]
+    spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    got = catalogue.QUERIES["graph_conversation_all_tokens"](spark, str(tmp_path)).collect()
+    degree = defaultdict(set)
+    for r in got:
+        if r["dst"] % 2:
+            degree[r["dst"]].add(r["src"])
+    assert sorted(len(x) for x in degree.values()) == [60, 60, 120]
+
+
+def test_conversation_graph_equals_its_sql(spark, sf):
+    import duckdb
+
+    db = duckdb.connect()
+    db.execute(f"CREATE VIEW conversations AS SELECT * FROM '{sf}/conversations.parquet'")
+    want = db.execute(catalogue.ORACLE_SQL["graph_conversation_all_tokens"]).fetchall()
+    assert sorted(tuple(r) for r in catalogue.QUERIES["graph_conversation_all_tokens"](spark, sf).collect()) == sorted(want)
