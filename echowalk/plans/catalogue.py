@@ -559,10 +559,11 @@ def scores_stitched(spark, d):
 
 @query()
 def stitched_shortfall_by_slack(spark, d):
-    g = graphs.from_edges(workloads.nation_trade(spark, d).edges)
-    plan, adj, out = _planned_of(g, eps=0.35), walks.prepared(g), None
-    for slack, reuse in ((1.0, False), (2.0, False), (1.0, True)):
-        short = stitched(g, plan, walks.planned(g, plan, SEED), adj, SEED, Supply(2, slack, 0.0, reuse))[1]
+    """On a graph that grows with the tables."""
+    g = _pages(spark, d)
+    plan, adj, out = _planned_of(g, eps=0.2), walks.prepared(g), None
+    for slack, reuse in ((1.0, False), (1.5, False), (1.0, True)):
+        short = stitched(g, plan, walks.planned(g, plan, SEED), adj, SEED, Supply(4, slack, 0.0, reuse))[1]
         part = short.select(F.lit(slack).alias("slack"), F.lit(reuse).alias("reuse"), "level", "missing")
         out = part if out is None else out.union(part)
     return out

@@ -36,3 +36,16 @@ def test_conversation_graph_equals_its_sql(spark, sf):
     db.execute(f"CREATE VIEW conversations AS SELECT * FROM '{sf}/conversations.parquet'")
     want = db.execute(catalogue.ORACLE_SQL["graph_conversation_all_tokens"]).fetchall()
     assert sorted(tuple(r) for r in catalogue.QUERIES["graph_conversation_all_tokens"](spark, sf).collect()) == sorted(want)
+
+
+def test_shortfall_of_the_page_graph(spark, sf, monkeypatch):
+    seen = []
+
+    def spy(g, plan, planned, adj, seed, supply):
+        seen.append((g.size(), supply.pilot, supply.slack, planned.count() // g.size()))
+        return None, spark.createDataFrame([(0, 0)], "level int, missing long")
+
+    monkeypatch.setattr(catalogue, "stitched", spy)
+    catalogue.QUERIES["stitched_shortfall_by_slack"](spark, sf)
+    pages = workloads.page_links(spark, sf, directed=False)
+    assert [x[:3] for x in seen] == [(pages.size(), 4, s) for s in (1.0, 1.5, 1.0)] and seen[0][3] > 50
