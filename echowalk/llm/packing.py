@@ -1,12 +1,13 @@
-"""Best-fit packing in bulk-synchronous steps.
+"""Best-fit decreasing on the driver, over counted lengths.
 
 Only a document longer than a sequence is cut. Pieces of equal length are
-interchangeable, so documents and gaps are sorted by length and handled as
-counted classes: at most ``capacity`` of each, whatever the number of rows.
-A step takes the longest class of documents left, matches it with the least gaps
-that hold it (the successor sweep), settles which document gets which gap by
-rank in its class, updates the gaps and repeats. Ranks are found in a
-distributed way (a running number within a task, plus the counts of the tasks
+interchangeable, so the driver plans from their counts alone: at most
+``capacity`` classes of pieces and of gaps, whatever the number of rows. This
+replaces distributed sweeps over sorted documents and gaps, settled and repeated
+in rounds, of which there are none here: the plan is the same as one piece at a
+time would give, and its cost does not grow with the rows. The driver takes the
+longest class left and gives it the least gaps that hold it. Ranks within a class
+are found in a distributed way (a running number within a task, plus the counts of the tasks
 before it), and every piece then finds its place from its class and rank alone.
 
 Defined results: null text is the empty document (one token: the separator);
