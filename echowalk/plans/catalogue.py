@@ -412,7 +412,7 @@ def pair_monte_carlo(spark, d):
 def independent_pairs_scores(spark, d):
     g = graphs.from_edges(workloads.nation_trade(spark, d).edges)
     first = g.nodes.agg(F.min("id")).first()[0]
-    return rounded(pairs.independent_pairs(g, first, 200, C, SEED, most=12), "score")
+    return rounded(pairs.independent_pairs(g, first, 200, C, SEED), "score")
 
 
 _LABELS_OUT = "SELECT start, CAST(walk_no AS INTEGER) AS walk_no, CAST(pair AS INTEGER) AS pair FROM labels"
@@ -590,7 +590,10 @@ def error_summary_by_method(spark, d):
         "warm_up": simrank.warm_up(g, SOURCE, C, 0.2, SEED, strategy="local"),
         "unidirectional": baselines.unidirectional(g, SOURCE, C, 6, 3000, SEED),
         "linear_constant_diagonal": baselines.linear_jacobi(g, SOURCE, C, 8, diagonal="constant"),
+        "linear_jacobi": baselines.linear_jacobi(g, SOURCE, C, 8, jacobi_iters=4, eps_p=0.1, seed=SEED),
         "linear_forest": baselines.linear_forest(g, SOURCE, C, 8, seed=SEED, pairs=200),
+        "linear_pair_diagonal": baselines.linear_forest(g, SOURCE, C, 8, eps_d=0.2, diagonal="pair_mc", seed=SEED),
+        "linear_exact_diagonal": baselines.linear_forest(g, SOURCE, C, 8, diagonal="exact"),
         "zero": truth.filter(F.lit(False)),
     }
     out = None

@@ -49,3 +49,10 @@ def test_shortfall_of_the_page_graph(spark, sf, monkeypatch):
     catalogue.QUERIES["stitched_shortfall_by_slack"](spark, sf)
     pages = workloads.page_links(spark, sf, directed=False)
     assert [x[:3] for x in seen] == [(pages.size(), 4, s) for s in (1.0, 1.5, 1.0)] and seen[0][3] > 50
+
+
+def test_linear_baselines_run_on_the_page_graph(spark, sf):
+    got = {r["method"]: r for r in catalogue.QUERIES["error_summary_by_method"](spark, sf).collect()}
+    for name in ("linear_jacobi", "linear_pair_diagonal", "linear_exact_diagonal"):
+        assert 0 <= got[name]["max_abs_error"] < 0.15
+    assert got["linear_exact_diagonal"]["max_abs_error"] < 0.02
