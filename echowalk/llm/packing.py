@@ -1,14 +1,17 @@
-"""Best-fit decreasing on the driver, over counted lengths.
-
-Only a document longer than a sequence is cut. Pieces of equal length are
-interchangeable, so the driver plans from their counts alone: at most
-``capacity`` classes of pieces and of gaps, whatever the number of rows. This
-replaces distributed sweeps over sorted documents and gaps, settled and repeated
-in rounds, of which there are none here: the plan is the same as one piece at a
-time would give, and its cost does not grow with the rows. The driver takes the
-longest class left and gives it the least gaps that hold it. Ranks within a class
-are found in a distributed way (a running number within a task, plus the counts of the tasks
-before it), and every piece then finds its place from its class and rank alone.
+"""Bulk-synchronous best-fit packing.
+
+Only a document longer than a sequence is cut. Lengths are taken in bands from long
+to short. In a round, the band's waiting pieces and the gaps of all open
+sequences are range-sorted together, the largest first, and swept: a piece takes the
+least gap before it that no piece between has taken, which is its best fit, and of
+pieces that have the same successor the higher rank gets it. Each task sweeps its own
+range; pieces and gaps that are left over meet by their ranks in the carries between
+tasks, for which the driver has two numbers a task. Gaps are updated and the round is
+repeated until no gap that changed can hold a piece that waits. What is left then
+opens sequences: ranks are grouped, as many neighbours a sequence as it holds.
+
+A gap of a multiple of the band's longest piece stands in the sweep several times.
+Every round and every opening is written to the shared folder.
 
 Defined results: null text is the empty document (one token: the separator);
 rows with equal ids are packed as separate documents; an empty table gives no
@@ -19,7 +22,6 @@ from __future__ import annotations
 
 import bisect
 import zlib
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,25 +30,25 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import word_bpe
-from .common import documents, ship, slices, stash, task_id
+from .common import discard, documents, ship, slices, stash, task_id
 
-_PIECES = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("task", pa.int32()), ("nth", pa.int64())])
+_OF_PIECE = "doc_id long, piece int, start long, length int, ids_crc32 long"
+_PIECES = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int32()), ("ids_crc32", pa.int64())])
+_OWN = _PIECES.names
 
 
 def _cut(tokenizer_path: str, capacity: int, separator: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bpe, seen, task = word_bpe.load(tokenizer_path), Counter(), task_id()
+        bpe = word_bpe.load(tokenizer_path)
         tail, step = np.array([separator], "<u4").tobytes(), 4 * capacity
         for batch in slices(batches, most=8 << 20):
             rows = []
-            texts = [t.as_py() for t in batch.column("text").cast(pa.binary())]
-            for doc, ids in zip(batch.column("doc_id").to_pylist(), bpe.texts(texts)):
-                ids += tail
-                for k, at in enumerate(range(0, len(ids), step)):
-                    own = ids[at : at + step]
-                    n = len(own) // 4
-                    rows.append((doc, k, at // 4, n, zlib.crc32(own), task, seen[n]))
-                    seen[n] += 1
+            ids, off = bpe.encode(batch.column("text"))
+            for doc, a, b in zip(batch.column("doc_id").to_pylist(), off.tolist(), off[1:].tolist()):
+                own = ids[a:b].tobytes() + tail
+                for k, at in enumerate(range(0, len(own), step)):
+                    part = own[at : at + step]
+                    rows.append((doc, k, at // 4, len(part) // 4, zlib.crc32(part)))
             yield pa.record_batch([pa.array(c, f.type) for c, f in zip(zip(*rows), _PIECES)], schema=_PIECES)
 
     return run
@@ -96,32 +98,241 @@ def plan_classes(counts: dict[int, int], capacity: int) -> tuple[np.ndarray, int
             rank += placed
     return np.array(sorted(rows), np.int64).reshape(-1, 5), sequences
 
+def bands(capacity: int, harmonic: int = 6, halves: int = 5) -> list[tuple[int, int]]:
+    """(longest, next band's longest): up to ``harmonic`` pieces of a band fill a sequence, then halves,
+    then all that is shorter."""
+    edge = [capacity // k for k in range(1, harmonic + 1)]
+    edge += [edge[-1] >> k for k in range(1, halves + 1)]
+    edge = list(dict.fromkeys(e for e in edge if e))
+    return list(zip(edge, [*edge[1:], 0]))
+
+
+_GAP, _PIECE = 0, 1
+_HIT, _WAITS, _FREE = 0, 1, 2  # a piece with its gap; a piece or a gap left to the carries
+_TOKEN = pa.schema([("size", pa.int32()), ("kind", pa.int32()), ("bin", pa.int64()), ("nth", pa.int32()), *_PIECES])
+_SWEPT = pa.schema([("state", pa.int32()), ("task", pa.int32()), ("rank", pa.int64()), ("bin", pa.int64()), ("nth", pa.int32()), *_PIECES])
+_SWEPT_SQL = f"state int, task int, rank long, bin long, nth int, {_OF_PIECE}"
+
+
+def sweep(kind: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of gaps and pieces in falling order of size: pieces that get a gap, their gaps, pieces and gaps
+    left over. A piece closes the nearest open gap, as a bracket does."""
+    free: list[int] = []
+    hits, gaps, waits = [], [], []
+    for at, k in enumerate(kind.tolist()):
+        if k == _GAP:
+            free.append(at)
+        elif free:
+            hits.append(at)
+            gaps.append(free.pop())
+        else:
+            waits.append(at)
+    return tuple(np.array(x, np.int64) for x in (hits, gaps, waits, free))
+
+
+def _sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    held = [b for b in batches if b.num_rows]
+    if not held:
+        return
+    rows = pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+    hits, gaps, waits, free = sweep(np.asarray(rows.column("kind")))
+    piece, gap = (rows.take(pa.array(np.concatenate(x))) for x in ((hits, waits, free), (gaps, waits, free)))
+    sizes = [len(hits), len(waits), len(free)]
+    state = np.repeat(np.array([_HIT, _WAITS, _FREE], np.int32), sizes)
+    rank = np.concatenate([np.arange(n) for n in sizes])
+    task = np.full(len(state), task_id(), np.int32)
+    yield pa.RecordBatch.from_arrays([pa.array(state), pa.array(task), pa.array(rank), gap.column("bin"), gap.column("nth"), *(piece.column(c) for c in _OWN)], schema=_SWEPT)
+
+
+def carries(waits: list[int], free: list[int]) -> list[tuple[int, int, int, int, int, int]]:
+    """Which ranks of what tasks left over meet: (task of pieces, first rank, task of gaps, last rank,
+    how many, first number). Pieces rise through their ranks as gaps fall, for the nearest gap is
+    the last one of the nearest task before."""
+    open_: list[list[int]] = []
+    out, number = [], 0
+    for task, (n, m) in enumerate(zip(waits, free)):
+        at = 0
+        while at < n and open_:
+            before, last = open_[-1]
+            both = min(n - at, last + 1)
+            out.append((task, at, before, last, both, number))
+            at, number = at + both, number + both
+            open_[-1][1] -= both
+            if open_[-1][1] < 0:
+                open_.pop()
+        if m:
+            open_.append([task, m - 1])
+    return out
+
+
+def _numbers(met: list[tuple[int, int, int, int, int, int]]):
+    """Left-over rows with the number of their meeting, or null."""
+    of: dict[tuple[int, int], list[tuple[int, int, int]]] = {}
+    for task, rank, before, last, n, number in met:
+        of.setdefault((_WAITS, task), []).append((rank, n, number))
+        of.setdefault((_FREE, before), []).append((last, -n, number))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            state, task, rank = (np.asarray(b.column(c)) for c in ("state", "task", "rank"))
+            number = np.full(b.num_rows, -1, np.int64)
+            for s, t in set(zip(state.tolist(), task.tolist())):
+                mine = np.flatnonzero((state == s) & (task == t))
+                for first, n, base in of.get((s, t), ()):
+                    nth = rank[mine] - first if n > 0 else first - rank[mine]
+                    hit = (nth >= 0) & (nth < abs(n))
+                    number[mine[hit]] = base + nth[hit]
+            yield pa.RecordBatch.from_arrays([pa.array(number, mask=number < 0), *b.columns], ["number", *b.schema.names])
+
+    return run
+
 
-_SHIFT = 1 << 40
+def _opened(first_of: dict[tuple[int, int], int], bin_of: dict[int, int]):
+    """Places of pieces in sequences that they open; a class is how many of its pieces one holds."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            task, holds, nth = (np.asarray(b.column(c)).astype(np.int64) for c in ("task", "holds", "nth"))
+            bin_, place = np.zeros(b.num_rows, np.int64), np.zeros(b.num_rows, np.int64)
+            for t, h in set(zip(task.tolist(), holds.tolist())):
+                mine = np.flatnonzero((task == t) & (holds == h))
+                rank = first_of[t, h] + nth[mine]
+                bin_[mine], place[mine] = bin_of[h] + rank // h, rank % h
+            yield pa.RecordBatch.from_arrays([pa.array(bin_), pa.array(place.astype(np.int32)), *(b.column(c) for c in _OWN)], ["bin", "nth", *_OWN])
 
+    return run
 
-def _place(rows: np.ndarray, capacity: int):
-    key = rows[:, 0] * _SHIFT + rows[:, 1]
 
+def _rank(capacity: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: dict[int, int] = {}
         for b in batches:
-            length, rank = (np.asarray(b.column(c)) for c in ("length", "rank"))
-            at = np.searchsorted(key, length * _SHIFT + rank, "right") - 1
-            nth, own = rank - rows[at, 1], rows[at]
-            sequence, offset = own[:, 2] + nth // own[:, 3], own[:, 4] + nth % own[:, 3] * length
-            yield pa.RecordBatch.from_arrays([b.column(c) for c in ("doc_id", "piece", "start", "length", "ids_crc32")] + [pa.array(sequence), pa.array(offset)], ["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"])
+            holds = capacity // np.asarray(b.column("length")).astype(np.int64)
+            nth = np.zeros(b.num_rows, np.int64)
+            for h in np.unique(holds).tolist():
+                mine = np.flatnonzero(holds == h)
+                nth[mine] = seen.get(h, 0) + np.arange(len(mine))
+                seen[h] = seen.get(h, 0) + len(mine)
+            task = np.full(b.num_rows, task_id(), np.int32)
+            yield pa.RecordBatch.from_arrays([pa.array(task), pa.array(holds.astype(np.int32)), pa.array(nth), *(b.column(c) for c in _OWN)], ["task", "holds", "nth", *_OWN])
 
     return run
 
 
-def pack(df: DataFrame, tokenizer_path: str, capacity: int = 2048, separator: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, piece, start, length, ids_crc32, sequence_id, offset: one row for every piece."""
+class _Packing:
+    """Gaps of open sequences (bin, gap, changed) and what has been placed: (bin, turn, nth, piece)."""
+
+    def __init__(self, df: DataFrame, capacity: int, rows_a_task: int):
+        self.capacity, self.rows_a_task = capacity, rows_a_task
+        self.gaps: DataFrame | None = None
+        self.bins = self.turn = 0
+        self.placed: list[DataFrame] = []
+        self.spark = df.sparkSession
+
+    def place(self, found: DataFrame, opened: int = 0) -> None:
+        """Take ``found`` (bin, nth and the piece) as placed and update the gaps."""
+        self.placed.append(found.select("bin", F.lit(self.turn).alias("turn"), "nth", *_OWN))
+        self.turn += 1
+        change = found.select("bin", ((F.lit(self.capacity) if opened else F.lit(0)) * (F.col("nth") == 0).cast("int") - F.col("length")).alias("gap"), F.lit(1).alias("changed"))
+        if self.gaps is not None:
+            change = change.unionByName(self.gaps.select("bin", "gap", F.lit(0).alias("changed")))
+        old = self.gaps
+        self.gaps = stash(change.groupBy("bin").agg(F.sum("gap").cast("int").alias("gap"), F.max("changed").alias("changed")).filter("gap > 0"), "gaps")
+        self.bins += opened
+        if old is not None:
+            discard(old)
+
+    def tasks(self, rows: int) -> int:
+        return max(1, -(-rows // self.rows_a_task))
+
+    def round(self, waiting: DataFrame, n: int, longest: int, gaps: int, least: int) -> tuple[DataFrame, int, int, int]:
+        """Match ``n`` waiting pieces with gaps of ``least`` or more: what still waits, how much, no shorter
+        than what, and how many were placed."""
+        most = 1 + 2 * n // gaps  # slots that a gap can stand for
+        each = F.greatest(F.lit(1), F.least(F.lit(most), F.floor(F.col("gap") / longest))).cast("int")
+        slots = self.gaps.filter(F.col("gap") >= least).select("bin", "gap", each.alias("each")).select("bin", "gap", "each", F.explode(F.sequence(F.lit(0), F.col("each") - 1)).alias("nth"))
+        size = F.when(F.col("nth") == 0, F.col("gap") - (F.col("each") - 1) * longest).otherwise(F.lit(longest))
+        none = [F.lit(None).cast(f.split()[1]).alias(f.split()[0]) for f in _OF_PIECE.split(", ")]
+        tokens = slots.select(size.cast("int").alias("size"), F.lit(_GAP).alias("kind"), "bin", "nth", *none)
+        tokens = tokens.unionByName(waiting.select(F.col("length").alias("size"), F.lit(_PIECE).alias("kind"), F.lit(None).cast("long").alias("bin"), F.lit(None).cast("int").alias("nth"), *_OWN))
+        order = [F.desc("size"), F.asc("kind"), F.asc("bin"), F.asc("nth"), F.asc("doc_id"), F.asc("start"), F.asc("ids_crc32")]
+        swept = stash(tokens.repartitionByRange(self.tasks(n + gaps), *order).sortWithinPartitions(*order).mapInArrow(_sweep, _SWEPT_SQL), "swept")
+        told = swept.groupBy("task", "state").agg(F.count(F.lit(1)).alias("n"), F.min("length").alias("least")).collect()  # three rows a task
+        left = {(r["task"], r["state"]): r["n"] for r in told}
+        least = min((r["least"] for r in told if r["state"] == _WAITS), default=0)
+        tasks = 1 + max(t for t, _ in left)
+        met = carries(*([left.get((t, s), 0) for t in range(tasks)] for s in (_WAITS, _FREE)))
+        hits = sum(c for (_, s), c in left.items() if s == _HIT)
+        found = swept.filter(F.col("state") == _HIT).select("bin", "nth", *_OWN)
+        waiting = swept.filter(F.col("state") == _WAITS)
+        if met:
+            over = swept.filter(F.col("state") != _HIT).mapInArrow(_numbers(met), f"number long, {_SWEPT_SQL}")
+            free = over.filter((F.col("state") == _FREE) & F.col("number").isNotNull()).select("number", "bin", "nth")
+            waits = over.filter(F.col("state") == _WAITS)
+            joined = waits.filter("number is not null").select("number", *_OWN).join(free, "number")
+            found = found.unionByName(stash(joined.select("bin", "nth", *_OWN), "carried"))
+            waiting = waits.filter("number is null")
+            hits += sum(x[4] for x in met)
+        if hits:
+            self.place(found)
+        return waiting.select(*_OWN), n - hits, least, hits
+
+    def open_for(self, waiting: DataFrame, n: int) -> None:
+        order = [F.desc("length"), F.asc("doc_id"), F.asc("start"), F.asc("ids_crc32")]
+        ranked = waiting.repartitionByRange(self.tasks(n), *order).sortWithinPartitions(*order)
+        ranked = stash(ranked.mapInArrow(_rank(self.capacity), f"task int, holds int, nth long, {_OF_PIECE}"), "ranked")
+        counts = ranked.groupBy("holds", "task").count().orderBy("holds", "task").collect()  # a task has at most as many classes as a band has lengths
+        first_of, bin_of, total = {}, {}, {}
+        for r in counts:
+            first_of[r["task"], r["holds"]] = total.get(r["holds"], 0)
+            total[r["holds"]] = total.get(r["holds"], 0) + r["count"]
+        at = self.bins
+        for h in sorted(total):
+            bin_of[h] = at
+            at += -(-total[h] // h)
+        self.place(ranked.mapInArrow(_opened(first_of, bin_of), f"bin long, nth int, {_OF_PIECE}"), at - self.bins)
+
+    def band(self, waiting: DataFrame, n: int, longest: int, least: int) -> None:
+        hits = -1
+        while n and self.gaps is not None:
+            fits = self.gaps.filter(F.col("gap") >= least).agg(F.count(F.lit(1)), F.coalesce(F.max("changed"), F.lit(0))).first()
+            if not fits[0] or hits > 0 and not fits[1]:
+                break
+            before = n
+            waiting, n, least, hits = self.round(waiting, n, longest, fits[0], least)
+            if 100 * hits < before:  # the gaps stay for what is shorter
+                break
+        if n:
+            self.open_for(waiting, n)
+
+
+def pack(df: DataFrame, tokenizer_path: str, capacity: int = 2048, separator: int = 0, id_col: str = "doc_id", text_col: str = "text", rows_a_task: int = 100_000) -> DataFrame:
+    """doc_id, piece, start, length, ids_crc32, sequence_id, offset: one row for every piece.
+    ``rows_a_task``: pieces and gaps that a task sweeps."""
     ship(df.sparkSession)
-    pieces = stash(documents(df, id_col, text_col).mapInArrow(_cut(tokenizer_path, capacity, separator), "doc_id long, piece int, start long, length long, ids_crc32 long, task int, nth long"), "pieces")
-    by_task = stash(pieces.groupBy("length", "task").count(), "piece-counts")
-    counts = {r["length"]: r["n"] for r in by_task.groupBy("length").agg(F.sum("count").alias("n")).collect()}  # capacity rows at most
-    rows, _ = plan_classes(counts, capacity)
-    before = F.sum("count").over(Window.partitionBy("length").orderBy("task").rowsBetween(Window.unboundedPreceding, -1))
-    ranked = pieces.join(by_task.select("length", "task", F.coalesce(before, F.lit(0)).alias("before")), ["length", "task"])
-    ranked = ranked.select("doc_id", "piece", "start", "length", "ids_crc32", (F.col("before") + F.col("nth")).alias("rank"))
-    return ranked.mapInArrow(_place(rows, capacity), "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
+    pieces = stash(documents(df, id_col, text_col).mapInArrow(_cut(tokenizer_path, capacity, separator), _OF_PIECE), "pieces")
+    return place(pieces, capacity, rows_a_task)
+
+
+def place(pieces: DataFrame, capacity: int, rows_a_task: int = 100_000) -> DataFrame:
+    """``pieces`` (doc_id, piece, start, length, ids_crc32) with sequence_id and offset."""
+    ship(pieces.sparkSession)
+    pieces = pieces.select(*(F.col(f.split()[0]).cast(f.split()[1]) for f in _OF_PIECE.split(", ")))
+    cuts = bands(capacity)
+    band = F.lit(len(cuts) - 1)
+    for k, (_, under) in reversed(list(enumerate(cuts))[:-1]):
+        band = F.when(F.col("length") > under, k).otherwise(band)
+    seen = {r["band"]: r for r in pieces.groupBy(band.alias("band")).agg(F.count(F.lit(1)).alias("n"), F.min("length").alias("least"), F.max("length").alias("longest")).collect()}  # one row a band
+    state = _Packing(pieces, capacity, rows_a_task)
+    for k, (longest, under) in enumerate(cuts):
+        if k in seen:
+            own = pieces.filter((F.col("length") <= longest) & (F.col("length") > under))
+            state.band(own, seen[k]["n"], seen[k]["longest"], seen[k]["least"])
+    if not state.placed:
+        return pieces.select(*_OWN[:3], F.col("length").cast("long").alias("length"), "ids_crc32", F.lit(0).cast("long").alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
+    every = state.placed[0]
+    for more in state.placed[1:]:
+        every = every.unionByName(more)
+    before = Window.partitionBy("bin").orderBy("turn", "nth").rowsBetween(Window.unboundedPreceding, -1)
+    offset = F.coalesce(F.sum("length").over(before), F.lit(0)).cast("long")
+    return every.select("doc_id", "piece", "start", F.col("length").cast("long").alias("length"), "ids_crc32", F.col("bin").alias("sequence_id"), offset.alias("offset"))
