@@ -1,5 +1,5 @@
 """Helpers shared by the training-data operators: tables written to the shared
-folder, packed text buffers, vectorised span hashes.
+folder, packed text buffers, vectorised hashes of words and of runs of words.
 
 Null text is the empty text everywhere in this subpackage.
 """
@@ -11,6 +11,7 @@ import contextlib
 import os
 import uuid
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -166,28 +167,76 @@ class Words:
         return np.repeat(np.arange(len(self.first) - 1), np.diff(self.first))
 
 
+_NEAR = 64  # bytes of a word whose draws are in tables
+
+
+@lru_cache(4)
+def _draws(key: int) -> np.ndarray:
+    return np.random.default_rng(key).integers(0, 2**64, _NEAR * 256, dtype=_U)
+
+
+def word_hashes(w: Words, key: int = 0) -> np.ndarray:
+    """64-bit hashes of words: sums of draws for each byte at its place in the word, without structure
+    in either, so that no kind of words collides more than another."""
+    if not len(w.start):
+        return np.zeros(0, _U)
+    at = (np.arange(len(w.data)) - np.repeat(w.start, w.end - w.start + 1)) << 8 | w.data
+    far = np.flatnonzero(at >= _NEAR << 8)
+    late = at[far]
+    at[far] = 0
+    drawn = _draws(key)[at]
+    drawn[far] = mix(mix(late.astype(_U) + _U(1)) + _U(key + 1))
+    drawn[w.end] = 0  # blanks
+    return np.add.reduceat(drawn, w.start)
+
+
+_PRIME = 2**61 - 1
+_P = _U(_PRIME)
+
+
+def _reduced(x: np.ndarray) -> np.ndarray:
+    x = (x & _P) + (x >> _U(61))
+    return np.where(x >= _P, x - _P, x)
+
+
+def _times(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Products modulo 2**61 - 1."""
+    a1, a0, b1, b0 = a >> _U(31), a & _U(2**31 - 1), b >> _U(31), b & _U(2**31 - 1)
+    middle = a0 * b1 + a1 * b0
+    return _reduced((a1 * b1 << _U(1)) + (middle >> _U(30)) + ((middle & _U(2**30 - 1)) << _U(31)) + a0 * b0)
+
+
 class SpanHash:
-    """64-bit hashes of byte spans from prefix sums: sum of (byte + 1) * base**position, times
-    base**-start (odd bases have inverses modulo 2**64), then mixed."""
+    """Hashes of runs of words (given by 64-bit hashes) from prefix sums: sum of word * base**place
+    modulo the prime 2**61 - 1, times base**-first, then mixed. Two different runs of n words are
+    zeros' apart in a polynomial of degree n, so at most n of the 2**61 bases confuse them; ``key``
+    chooses the base."""
 
     _tables: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
-    def __init__(self, data: np.ndarray, base: int = 0x9E3779B97F4A7C15):
-        power, self.inverse = self._powers(len(data) + 1, base)
-        self.sums = np.zeros(len(data) + 1, _U)
-        np.cumsum((data.astype(_U) + _U(1)) * power[: len(data)], out=self.sums[1:])
+    def __init__(self, words: np.ndarray, key: int = 0):
+        power, self.inverse = self._powers(len(words) + 1, key)
+        terms = _times(_reduced(words), power[: len(words)])
+        low, high = np.cumsum(terms & _U(2**32 - 1), dtype=_U), np.cumsum(terms >> _U(32), dtype=_U)
+        self.sums = np.zeros(len(words) + 1, _U)
+        self.sums[1:] = _reduced((high >> _U(29)) + ((high & _U(2**29 - 1)) << _U(32)) + low)
 
     @classmethod
-    def _powers(cls, n: int, base: int) -> tuple[np.ndarray, np.ndarray]:
-        have = cls._tables.get(base)
+    def _powers(cls, n: int, key: int) -> tuple[np.ndarray, np.ndarray]:
+        have = cls._tables.get(key)
         if have is None or len(have[0]) < n:
-            n = max(n, 1 << 22)
-            have = tuple(np.cumprod(np.concatenate([[_U(1)], np.full(n - 1, x, _U)]).astype(_U)) for x in (_U(base), _U(pow(base, -1, 2**64))))
-            cls._tables[base] = have
+            base, have = int(np.random.default_rng([key, 61]).integers(2**32, _PRIME - 1)), []
+            for x in (base, pow(base, -1, _PRIME)):
+                powers = np.ones(1, _U)
+                while len(powers) < max(n, 1 << 20):
+                    powers = np.concatenate([powers, _times(powers, np.full(1, pow(x, len(powers), _PRIME), _U))])
+                have.append(powers)
+            cls._tables[key] = have = tuple(have)
         return have
 
-    def of(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-        return mix((self.sums[end] - self.sums[start]) * self.inverse[start])
+    def of(self, first: np.ndarray, last: np.ndarray) -> np.ndarray:
+        """Hashes of the words from ``first`` to ``last``, both included."""
+        return mix(_times(_reduced(self.sums[last + 1] + (_P - self.sums[first])), self.inverse[first]))
 
 
 def mix(x: np.ndarray) -> np.ndarray:

@@ -27,15 +27,11 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SpanHash, Words, byte_table, documents, mix, ship, slices, stash, task_id
+from .common import Words, byte_table, documents, mix, ship, slices, stash, task_id, word_hashes
 
 _TABLE = byte_table(lower=True)
 
 
-def word_hashes(w: Words) -> np.ndarray:
-    return SpanHash(w.data).of(w.start, w.end) if len(w.start) else np.zeros(0, np.uint64)
-
-
 def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     hashes, counts, held = [], [], 0
 

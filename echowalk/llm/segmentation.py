@@ -35,14 +35,19 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import SpanHash, documents, mix, ship, slices
+from .common import documents, mix, ship, slices
 
 _U = np.uint64
 _ALL = 2**64 - 1
-_LEAST = 1e-12  # what rounding leaves of no probability
 _MARK = "▁"
 
 
+def _longer(h: np.ndarray, codes: np.ndarray) -> np.ndarray:
+    """Hashes of strings that are one character longer. No step is linear in the one before."""
+    h = (h ^ codes.astype(_U)) * _U(0x9E3779B97F4A7C15)
+    return h ^ (h >> _U(29))
+
+
 class Pieces:
     """A model's pieces with log-weights. Models trained as BPE have ranks for scores; theirs become
     Zipf weights (1 / (rank + 2.7)). Texts are taken as they are, with a blank put before them."""
@@ -66,8 +71,10 @@ class Pieces:
         weight = weight - self.total
         texts = [model.id_to_piece(i) for i in normal]
         self.longest = max(map(len, texts))
-        codes = [np.frombuffer(t.encode("utf-32-le"), np.uint32) for t in texts]
-        h = np.array([SpanHash(c).of(np.array([0]), np.array([len(c)]))[0] for c in codes], _U)
+        h, size = np.zeros(len(texts), _U), np.array([len(t) for t in texts])
+        for at in range(self.longest):
+            some = np.flatnonzero(size > at)
+            h[some] = _longer(h[some], np.array([ord(texts[k][at]) for k in some.tolist()]))
         order = np.argsort(h)
         self.hash, self.id, self.weight = h[order], np.array(normal, np.int64)[order], weight[order]
         if (self.hash[1:] == self.hash[:-1]).any():
@@ -134,20 +141,26 @@ class Lattice:
         chunk = np.flatnonzero(opens)
         ends = np.concatenate([chunk[1:], [len(codes)]]) if len(chunk) else chunk
         self.first_chunk = np.searchsorted(chunk, starts)
-        _, sample, self.kind = np.unique(SpanHash(codes).of(chunk, ends), return_index=True, return_inverse=True)
+        held = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(chunk), [None, pa.py_buffer(4 * np.append(chunk, len(codes)).astype(np.int64)), pa.py_buffer(codes)])
+        coded = held.dictionary_encode()  # tells chunks by comparing them
+        self.kind = np.asarray(coded.indices).astype(np.int64)
+        sample = np.zeros(len(coded.dictionary), np.int64)
+        sample[self.kind[::-1]] = np.arange(len(chunk))[::-1]
         size = ends[sample] - chunk[sample]
         own = codes[_ranges(chunk[sample], size)]
         self.origin = np.concatenate([[0], np.cumsum(size)])[:-1]  # where each kind of chunk starts in ``own``
         left = np.repeat(self.origin + size, size) - np.arange(len(own))  # characters up to the chunk's end
         self.left = np.append(left, 0)
-        spans = SpanHash(own)
         at, length, piece, weight = [], [], [], []
-        position = np.arange(len(own))
+        position, h = np.arange(len(own)), np.zeros(len(own), _U)
         for n in range(1, pieces.longest + 1):
-            position = position[left[position] >= n]
+            if n > 1:
+                on = left[position] >= n
+                position, h = position[on], h[on]
             if not len(position):
                 break
-            hit, k = pieces.find(spans.of(position, position + n))
+            h = _longer(h, own[position + n - 1])
+            hit, k = pieces.find(h)
             at.append(position[hit])
             length.append(np.full(len(k), n))
             piece.append(pieces.id[k])
@@ -184,13 +197,18 @@ class Lattice:
         self.log_p = weight + np.where(ends_here, 0.0, rest[self.to]) - rest[self.at]
         self.first_edge = np.searchsorted(self.at, np.arange(len(own) + 1))
         p = np.exp(self.log_p)
+        small = np.where(p > 0.5, 0.0, p)  # all else at the start of an edge of over 0.5 is these; nothing cancels
+        others = np.add.reduceat(small, self.first_edge[:-1]) if len(p) else p
         with np.errstate(divide="ignore"):
-            self.log_rest = np.where(1.0 - p > _LEAST, np.log(np.maximum(1.0 - p, 0.0)), -np.inf)  # of all else at its start
+            self.log_rest = np.where(p > 0.5, np.log(others)[self.at], np.log1p(-np.minimum(p, 0.5)))  # of all else at its start
         upto = np.cumsum(p)
         self.upto = upto - np.concatenate([[0.0], upto])[self.first_edge[self.at]]  # within the edge's start
         self.last = np.zeros(len(p), bool)
         self.last[self.first_edge[1:][np.diff(self.first_edge) > 0] - 1] = True
 
+    def options(self, position: int, without: list[int]) -> list[int]:
+        return [e for e in range(self.first_edge[position], self.first_edge[position + 1]) if e not in without]
+
     def choose(self, position: np.ndarray, u: np.ndarray) -> np.ndarray:
         e = self.first_edge[position]
         on = np.flatnonzero((self.upto[e] < u) & ~self.last[e])
@@ -243,8 +261,8 @@ class Path:
         self.log_prob = float(reach[-1])
         other = lattice.log_rest[edges[since:]]
         if len(without) and len(other):
-            left = 1.0 - float(np.exp(lattice.log_p[without]).sum())
-            other[0] = math.log(left) if left > _LEAST else -np.inf
+            left = sum(math.exp(lattice.log_p[e]) for e in lattice.options(lattice.at[without[0]], without))
+            other[0] = math.log(left) if left else -np.inf
         # as if not truncated: truncation at ``value`` keeps their order
         self.bounds = reach[since:-1] + other + _gumbel(_uniform(key + np.arange(len(other), dtype=_U)))
         self._look()
@@ -278,7 +296,7 @@ def sample_text(lattice: Lattice, chunks: np.ndarray, fresh: list[tuple[np.ndarr
         k = len(paths)
         value, place, without = source.take()
         position = lattice.at[source.edges[place]]
-        options = [e for e in range(lattice.first_edge[position], lattice.first_edge[position + 1]) if e not in without]
+        options = lattice.options(position, without)
         share = list(accumulate(math.exp(lattice.log_p[e]) for e in options))
         edge = options[min(len(options) - 1, bisect_right(share, draw(16 * k) * share[-1]))]
         tail, n = [edge], 0

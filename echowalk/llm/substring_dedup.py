@@ -9,8 +9,10 @@ each is extended to the left and right window by window, and the windows are
 joined. Runs of repeated windows are the maximal repeats.
 
 What is equal within a batch is settled there and sent on once, so a passage
-that any number of documents share meets itself once a batch. Equality of
-extents and windows is that of 128-bit hashes of their words.
+that any number of documents share meets itself once a batch. Extents and windows
+count as equal where two hashes of their words with independent draws agree, 122
+bits in all: of n words, at most n in 2**61 bases of each confuse two runs, whatever
+the words are (an extent has less than two windows of words).
 
 Defined results: each row is a document, also where rows repeat; null text has
 no words; texts shorter than a window lose nothing; an empty table gives no
@@ -27,10 +29,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import SpanHash, Words, byte_table, discard, documents, row_key, ship, slices, stash
+from .common import SpanHash, Words, byte_table, discard, documents, row_key, ship, slices, stash, word_hashes
 
 _AS_IS = byte_table(lower=False)
-_SECOND = 0xD6E8FEB86659FD93
 _PLACE = np.uint64(30)  # bits of a position beside the hash in the winnowing order
 _FULL, _SHOW, _ASK = 0, 1, 2  # a decided extent; one whose windows others may match; one whose windows ask
 _NEED, _SENT, _DECIDED = 0, 1, 2
@@ -53,7 +54,8 @@ def anchors(w: Words, hashes: SpanHash, window: int, gram: int) -> tuple[np.ndar
     none = (np.zeros(0, np.int64),) * 4
     if n < window:
         return none
-    h = hashes.of(w.start[: n - gram + 1], w.end[gram - 1 :])
+    first = np.arange(n - gram + 1)
+    h = hashes.of(first, first + gram - 1)
     low = _sliding_min((h >> _PLACE << _PLACE) | np.arange(len(h), dtype=np.uint64), width)
     at = (low & np.uint64((1 << 30) - 1)).astype(np.int64)
     doc = w.doc_of_word()
@@ -66,6 +68,10 @@ def anchors(w: Words, hashes: SpanHash, window: int, gram: int) -> tuple[np.ndar
     return at[new], start[new], start[last], own[new]
 
 
+def _both(w: Words) -> tuple[SpanHash, SpanHash]:
+    return tuple(SpanHash(word_hashes(w, key), key) for key in (0, 1))
+
+
 def _settle_locally(h1: np.ndarray, h2: np.ndarray, asks: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """States after what is equal here is settled: of equals one is sent; the others' keys give way
     to keys of their own, so that no key is crowded."""
@@ -98,12 +104,12 @@ def _extents(window: int, gram: int, hold: int):
 
         for batch in slices(batches):
             w = Words(batch.column("text"), _AS_IS)
-            one, two = SpanHash(w.data), SpanHash(w.data, _SECOND)
+            one, two = _both(w)
             at, lo, hi, doc = anchors(w, one, window, gram)
-            s, e = w.start[lo], w.end[hi + window - 1] if len(hi) else hi
+            end = hi + window - 1
             first = w.first[doc]
             k0, k1 = (np.asarray(batch.column(c))[doc] for c in ("_k0", "_k1"))
-            held.append((one.of(s, e), two.of(s, e), one.of(w.start[at], w.end[at + gram - 1]) if len(at) else at.view(np.uint64), k0, k1, lo - first, hi - first))
+            held.append((one.of(lo, end), two.of(lo, end), one.of(at, at + gram - 1), k0, k1, lo - first, hi - first))
             if sum(len(x[0]) for x in held) >= hold:
                 yield done()
                 held = []
@@ -185,8 +191,8 @@ def _extend(window: int, hold: int, with_text: bool):
                 yield _rows(_PENDING, len(pending), **dict(zip(("doc_id", "k0", "k1", "text", "ranges"), zip(*pending))))
             if starts:
                 start, owner, asks = np.concatenate(starts), np.concatenate(owners), np.concatenate(asking)
-                s, e = w.start[start], w.end[start + window - 1]
-                held.append((SpanHash(w.data).of(s, e), SpanHash(w.data, _SECOND).of(s, e), keys[0][owner], keys[1][owner], (start - w.first[owner]).astype(np.int32), asks))
+                one, two = _both(w)
+                held.append((one.of(start, start + window - 1), two.of(start, start + window - 1), keys[0][owner], keys[1][owner], (start - w.first[owner]).astype(np.int32), asks))
                 if sum(len(x[0]) for x in held) >= hold:
                     yield windows()
                     held = []

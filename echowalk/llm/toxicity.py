@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SpanHash, Words, byte_table, documents, mix, ship, slices
+from .common import Words, byte_table, documents, mix, ship, slices, word_hashes
 
 #: Words end at white space and at ASCII signs that are no letters or digits.
 _TABLE = byte_table(lower=True, also_split=bytes(b for b in range(1, 128) if not chr(b).isalnum()))
@@ -31,7 +31,7 @@ _SKIPS = (1, 2, 3)
 def features(texts: pa.Array, bits: int) -> tuple[np.ndarray, np.ndarray]:
     """Indices below 2**bits of the features of all texts, and the number of each text's."""
     w = Words(texts, _TABLE)
-    h = SpanHash(w.data).of(w.start, w.end) if len(w.start) else np.zeros(0, np.uint64)
+    h = word_hashes(w)
     doc = w.doc_of_word()
     shift = np.uint64(64 - bits)
     index, owner = [h >> shift], [doc]
