@@ -8,8 +8,10 @@ smoothed alike. A document's score is the mean over its words of the loss under
 the target model less the loss under the background model: below zero, it is
 nearer to the target.
 
-Bigrams are counted in a table that grows with the input and stays distributed,
-keyed by 64-bit hashes; the distinct bigrams of each document are joined to it. With
+Words and bigrams are counted under hashes of 62 bits in buckets that grow in number
+with the input and stay distributed. Texts come in blocks; a block sends
+each bucket its distinct keys, sorted and compressed, and gets their counts over all
+blocks back, so a frequent key crosses the exchange once a block. With
 a vocabulary of given size the counts are dense and sent to the executors.
 
 Defined results: a text without words has null losses; null text is empty; rows
@@ -125,90 +127,185 @@ def losses(counts: np.ndarray, weight: float = 0.7, add: float = 0.5) -> np.ndar
 
 
 _START = np.uint64(0x2545F4914F6CDD1D)
+_WORD, _BEFORE, _GRAM = (np.uint64(k) for k in range(3))  # kinds of counted keys, in their last bits
 
 
-def _grams(w: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Predecessor, word and a hash of both for every word."""
-    h = word_hashes(w)
-    before = np.concatenate([[_START], h[:-1]])[: len(h)].astype(np.uint64)
-    before[w.first[:-1][np.diff(w.first) > 0]] = _START
-    return before, h, mix(mix(before) + h)
+def _key(h: np.ndarray, kind: np.uint64) -> np.ndarray:
+    return mix(h + kind) & ~np.uint64(3) | kind
 
 
-def _count_grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    held: list[tuple[np.ndarray, ...]] = []
+class Counted:
+    """Sorted distinct keys of texts, and for every word the places of three of them: its own, that of
+    its predecessor as one, and that of the pair."""
 
-    def folded() -> tuple[np.ndarray, ...]:
-        gram, before, word, n, good = (np.concatenate(c) for c in zip(*held))
-        key, first, at = np.unique(gram, return_index=True, return_inverse=True)
-        return key, before[first], word[first], *(np.bincount(at, weights=x, minlength=len(key)).astype(np.int64) for x in (n, good))
+    def __init__(self, texts: pa.Array):
+        w = Words(texts, _TABLE)
+        self.first = w.first
+        h = word_hashes(w)
+        before = np.concatenate([[_START], h[:-1]])[: len(h)].astype(np.uint64)
+        before[w.first[:-1][np.diff(w.first) > 0]] = _START
+        parts = [np.unique(_key(x, kind), return_inverse=True) for x, kind in ((h, _WORD), (before, _BEFORE), (mix(before) + h, _GRAM))]
+        every = np.concatenate([keys for keys, _ in parts])
+        order = np.argsort(every)
+        place = np.empty(len(every), np.int64)
+        place[order] = np.arange(len(every))
+        base = np.cumsum([0, *(len(keys) for keys, _ in parts)])
+        self.keys, self.at = every[order], [place[k + own] for k, (_, own) in zip(base, parts)]
 
-    def done() -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(x.view(np.int64)) for x in folded()], ["gram", "before", "word", "n", "good"])
+    def counts(self, good: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """How often each key is there, and in texts that are ``good``."""
+        of_word = np.repeat(good, np.diff(self.first)).astype(np.float64)
+        return tuple(sum(np.bincount(at, x, len(self.keys)) for at in self.at).astype(np.int64) for x in (None, of_word))
 
-    for batch in slices(batches):
-        w = Words(batch.column("text"), _TABLE)
-        before, word, gram = _grams(w)
-        held.append((gram, before, word, np.ones(len(gram), np.int64), np.repeat(np.asarray(batch.column("target")), np.diff(w.first)).astype(np.int64)))
-        if sum(len(x[0]) for x in held) > 2_000_000:
-            held[:] = [folded()]
-            if len(held[0][0]) > 1_000_000:
+    def losses(self, n: np.ndarray, good: np.ndarray, tokens: tuple[int, int], words: int, weight: float, add: float) -> list[np.ndarray]:
+        """Mean loss of each text under the model of all counts ``n`` and that of ``good``."""
+        out, size = [], np.diff(self.first)
+        for count, total in ((good, tokens[1]), (n, tokens[0])):
+            word, before, pair = (count[at] for at in self.at)
+            share = np.where(before > 0, weight, 0.0)
+            loss = -np.log2(share * pair / np.maximum(before, 1) + (1 - share) * (word + add) / (total + add * (words + 1)))
+            upto = np.concatenate([[0.0], np.cumsum(loss)])
+            out.append((upto[self.first[1:]] - upto[self.first[:-1]]) / np.maximum(size, 1))
+        return out
+
+
+def _packed(*columns: np.ndarray) -> bytes:
+    """Columns of 64-bit numbers, each byte of a number with the others of its place."""
+    planes = [np.ascontiguousarray(c.astype(np.uint64).view(np.uint8).reshape(-1, 8).T).tobytes() for c in columns]
+    return zstandard.ZstdCompressor(level=1).compress(b"".join(planes))
+
+
+def _unpacked(data: bytes, columns: int) -> list[np.ndarray]:
+    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(data), np.uint8).reshape(columns, 8, -1)
+    return [np.ascontiguousarray(c.T).view(np.uint64).ravel() for c in raw]
+
+
+_BLOCK = "block long, n_words long, ids array<long>, good array<boolean>, sizes array<long>, texts binary"
+
+
+def _blocks(size: int):
+    """Texts in blocks of ``size`` bytes, or one text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pack = zstandard.ZstdCompressor(level=3).compress
+        number, held, bytes_held = task_id() << 32, [], 0
+
+        def done() -> pa.RecordBatch:
+            texts = [t for _, _, part in held for t in part]
+            words = sum(len(t.split()) for t in texts)  # for the number of buckets alone
+            row = [[number], [words], [[i for ids, _, _ in held for i in ids]], [[g for _, good, _ in held for g in good]], [[len(t) for t in texts]], [pack(b"".join(texts))]]
+            return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(row, (pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.bool_()), pa.list_(pa.int64()), pa.binary()))], ["block", "n_words", "ids", "good", "sizes", "texts"])
+
+        for batch in slices(batches):
+            texts = batch.column("text").cast(pa.binary()).to_pylist()
+            held.append((batch.column("doc_id").to_pylist(), batch.column("target").to_pylist(), texts))
+            bytes_held += sum(map(len, texts))
+            if bytes_held >= size:
                 yield done()
-                held.clear()
-    if held:
-        yield done()
+                number, held, bytes_held = number + 1, [], 0
+        if held:
+            yield done()
 
+    return run
 
-def gram_losses(docs: DataFrame, weight: float = 0.7, add: float = 0.5) -> DataFrame:
-    """gram, target_loss, background_loss of every bigram of ``docs`` (text, target): what ``losses``
-    has of a dense table, by joins of the counted bigrams to the sums by predecessor and by word."""
-    counted = docs.mapInArrow(_count_grams, "gram long, before long, word long, n long, good long")
-    counted = stash(counted.groupBy("gram").agg(F.first("before").alias("before"), F.first("word").alias("word"), F.sum("n").alias("n"), F.sum("good").alias("good")), "bigrams")
-    sums = lambda key, n, good: counted.groupBy(key).agg(F.sum("n").alias(n), F.sum("good").alias(good))
-    singles = stash(sums("word", "wn", "wgood"), "words")
-    total = singles.agg(F.count(F.lit(1)).alias("v"), F.sum("wn").alias("n"), F.sum("wgood").alias("good")).first()
 
-    def loss(n: str, seen: str, single: str, all_of: int):
-        share = F.when(F.col(seen) > 0, F.lit(weight)).otherwise(0.0)
-        one = (F.col(single) + add) / F.lit((all_of or 0) + add * (total["v"] + 1))
-        return -F.log2(share * F.col(n) / F.greatest(F.col(seen), F.lit(1)) + (1 - share) * one)
+def _texts(b: pa.RecordBatch, row: int) -> pa.Array:
+    off = np.concatenate([[0], np.cumsum(np.asarray(b.column("sizes")[row].values))]).astype(np.int64)
+    data = zstandard.ZstdDecompressor().decompress(b.column("texts")[row].as_py())
+    return pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(off) - 1, [None, pa.py_buffer(off), pa.py_buffer(data)])
 
-    met = counted.join(singles, "word").join(sums("before", "bn", "bgood"), "before")
-    return stash(met.select("gram", loss("good", "bgood", "wgood", total["good"]).cast("float").alias("target_loss"), loss("n", "bn", "wn", total["n"]).cast("float").alias("background_loss")), "gram-losses")
 
+def _edges(keys: np.ndarray, buckets: int) -> np.ndarray:
+    """Where each bucket of equal ranges starts among sorted keys, and the end."""
+    return np.searchsorted(keys, np.array([(k << 64) // buckets for k in range(buckets)], np.uint64)).tolist() + [len(keys)]
 
-def _grams_of_documents(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The distinct bigrams of each row, and a first record with its id and words for each row."""
-    base = task_id() << 36
-    for batch in slices(batches):
-        w = Words(batch.column("text"), _TABLE)
-        gram, n = _grams(w)[2], np.diff(w.first)
-        doc = w.doc_of_word()
-        order = np.lexsort((gram, doc))
-        gram, doc = gram[order], doc[order]
-        new = np.flatnonzero(np.concatenate([[True], (gram[1:] != gram[:-1]) | (doc[1:] != doc[:-1])])) if len(gram) else np.zeros(0, np.int64)
-        row = base + np.arange(len(n))
-        ids = pa.concat_arrays([batch.column("doc_id"), pa.nulls(len(new), pa.int64())])
-        yield pa.RecordBatch.from_arrays(
-            [
-                pa.array(np.concatenate([row, row[doc[new]]])),
-                ids,
-                pa.concat_arrays([pa.array(n, pa.int32()), pa.nulls(len(new), pa.int32())]),
-                pa.array(np.concatenate([mix(row.astype(np.uint64)), gram[new]]).view(np.int64)),
-                pa.array(np.concatenate([np.zeros(len(n)), np.diff(np.append(new, len(gram)))]).astype(np.int32)),
-            ],
-            ["row", "doc_id", "n_words", "gram", "times"],
-        )
-        base += len(n)
-
-
-def score_by_grams(docs: DataFrame, table: DataFrame) -> DataFrame:
-    grams = docs.mapInArrow(_grams_of_documents, "row long, doc_id long, n_words int, gram long, times int")
-    met = grams.join(table, "gram", "left")
-    words = F.max("n_words").cast("long")
-    mean = lambda c: F.when(words > 0, F.sum(F.col(c).cast("double") * F.col("times")) / words).alias(c)
-    out = met.groupBy("row").agg(F.max("doc_id").alias("doc_id"), words.alias("n_words"), mean("target_loss"), mean("background_loss"))
-    return out.select("doc_id", "n_words", "target_loss", "background_loss", (F.col("target_loss") - F.col("background_loss")).alias("score"))
+
+def _ask(buckets: int):
+    """The keys and counts of each block, by bucket."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for row in range(b.num_rows):
+                own = Counted(_texts(b, row))
+                n, good = own.counts(np.asarray(b.column("good")[row].values))
+                edge = _edges(own.keys, buckets)
+                parts = [(k, s, e) for k, (s, e) in enumerate(zip(edge, edge[1:])) if e > s]
+                data = [_packed(np.diff(own.keys[s:e], prepend=np.uint64(0)), n[s:e], good[s:e]) for _, s, e in parts]
+                block = b.column("block")[row].as_py()
+                yield pa.RecordBatch.from_arrays([pa.array([block] * len(parts), pa.int64()), pa.array([k for k, _, _ in parts], pa.int32()), pa.array(data, pa.binary())], ["block", "bucket", "data"])
+
+    return run
+
+
+def _answer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of rows sorted by bucket: each block's keys' counts over all blocks; and as block -1 what all
+    words of the bucket sum up to."""
+
+    def done(rows: list[tuple[int, int, bytes]]) -> pa.RecordBatch:
+        asked = [_unpacked(data, 3) for _, _, data in rows]
+        keys, of = np.unique(np.concatenate([np.cumsum(k, dtype=np.uint64) for k, _, _ in asked]), return_inverse=True)
+        n, good = (np.bincount(of, np.concatenate([x[c] for x in asked]).astype(np.float64)).astype(np.int64) for c in (1, 2))
+        edge = np.cumsum([0, *(len(k) for k, _, _ in asked)]).tolist()
+        told = [_packed(n[of[s:e]], good[of[s:e]]) for s, e in zip(edge, edge[1:])]
+        word = keys & np.uint64(3) == _WORD
+        sums = np.array([word.sum(), n[word].sum(), good[word].sum()])
+        bucket = [rows[0][0]] * (len(rows) + 1)
+        return pa.RecordBatch.from_arrays([pa.array([r[1] for r in rows] + [-1], pa.int64()), pa.array(bucket, pa.int32()), pa.array(told + [None], pa.binary()), pa.array([None] * len(rows) + [sums.tolist()], pa.list_(pa.int64()))], ["block", "bucket", "data", "sums"])
+
+    held: list[tuple[int, int, bytes]] = []
+    for b in batches:
+        for row in zip(b.column("bucket").to_pylist(), b.column("block").to_pylist(), b.column("data").to_pylist()):
+            if held and held[0][0] != row[0]:
+                yield done(held)
+                held = []
+            held.append(row)
+    if held:
+        yield done(held)
+
+
+def _score(tokens: tuple[int, int], words: int, weight: float, add: float):
+    """Of rows sorted by block and bucket, a block's texts first: the losses of its texts."""
+
+    def done(ids: pa.Array, texts: pa.Array, told: list[bytes]) -> pa.RecordBatch:
+        own = Counted(texts)
+        n, good = (np.concatenate(c).astype(np.int64) for c in zip(*(_unpacked(t, 2) for t in told))) if told else (np.zeros(0, np.int64),) * 2
+        size = np.diff(own.first)
+        target, background = own.losses(n, good, tokens, words, weight, add)
+        columns = (target, background, target - background)
+        return pa.RecordBatch.from_arrays([ids, pa.array(size, pa.int64()), *(pa.array(x, mask=size == 0) for x in columns)], ["doc_id", "n_words", "target_loss", "background_loss", "score"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = None
+        for b in batches:
+            for row, (bucket, data) in enumerate(zip(b.column("bucket").to_pylist(), b.column("data").to_pylist())):
+                if bucket < 0:
+                    if held:
+                        yield done(*held)
+                    held = (b.column("ids")[row].values, _texts(b, row), [])
+                else:
+                    held[2].append(data)
+        if held:
+            yield done(*held)
+
+    return run
+
+
+def score_by_blocks(marked: DataFrame, weight: float = 0.7, add: float = 0.5, block: int = 8 << 20, keys_a_bucket: int = 1_000_000) -> DataFrame:
+    """Scores of ``marked`` (doc_id, text, target) by counts of all words and bigrams. A block of texts
+    asks for each of its distinct keys once; a bucket of keys adds up what all blocks have
+    and answers them; both stay distributed, and their number grows with the input."""
+    blocks = stash(marked.mapInArrow(_blocks(block), _BLOCK), "blocks")
+    total = blocks.agg(F.count(F.lit(1)).alias("blocks"), F.sum("n_words").alias("n")).first()
+    buckets = max(1, -(-(total["n"] or 0) // keys_a_bucket))
+    asked = blocks.mapInArrow(_ask(buckets), "block long, bucket int, data binary")
+    told = stash(asked.repartition(-(-buckets // 2), "bucket").sortWithinPartitions("bucket").mapInArrow(_answer, "block long, bucket int, data binary, sums array<long>"), "answers")
+    sums = told.filter("block = -1").agg(*(F.coalesce(F.sum(F.col("sums")[k]), F.lit(0)) for k in range(3))).first()
+    none = lambda of: [F.lit(None).cast(t).alias(c) for c, t in of]
+    texts = [("ids", "array<long>"), ("sizes", "array<long>"), ("texts", "binary")]
+    rows = blocks.select("block", F.lit(-1).alias("bucket"), *none([("data", "binary")]), *(c for c, _ in texts))
+    rows = rows.unionByName(told.filter("block >= 0").select("block", "bucket", "data", *none(texts)))
+    rows = rows.repartition(max(1, total["blocks"]), "block").sortWithinPartitions("block", "bucket")
+    return rows.mapInArrow(_score((sums[1], sums[2]), sums[0], weight, add), "doc_id long, n_words long, target_loss double, background_loss double, score double")
 
 
 def score_documents(df: DataFrame, target: DataFrame, vocabulary_size: int | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -218,9 +315,9 @@ def score_documents(df: DataFrame, target: DataFrame, vocabulary_size: int | Non
     ship(df.sparkSession)
     docs = documents(df, id_col, text_col)
     marks = target.select(F.col("doc_id").alias("_id")).filter("_id is not null").distinct().withColumn("_target", F.lit(True)).hint("merge")  # the same plan at every size
-    marked = docs.join(marks, F.col("doc_id") == F.col("_id"), "left").select("text", F.coalesce("_target", F.lit(False)).alias("target"))
+    marked = docs.join(marks, F.col("doc_id") == F.col("_id"), "left").select("doc_id", "text", F.coalesce("_target", F.lit(False)).alias("target"))
     if vocabulary_size is None:
-        return score_by_grams(docs, gram_losses(marked))
+        return score_by_blocks(marked)
     words = vocabulary(docs, vocabulary_size)
     counts = count_bigrams(marked, words)
     size = len(words)
