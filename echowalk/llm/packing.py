@@ -41,7 +41,7 @@ def _cut(tokenizer_path: str, capacity: int, separator: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = word_bpe.load(tokenizer_path)
         tail, step = np.array([separator], "<u4").tobytes(), 4 * capacity
-        for batch in slices(batches, most=8 << 20):
+        for batch in slices(batches, most=4 << 20):
             rows = []
             ids, off = bpe.encode(batch.column("text"))
             for doc, a, b in zip(batch.column("doc_id").to_pylist(), off.tolist(), off[1:].tolist()):

@@ -122,7 +122,7 @@ class WordBpe:
     """``most``: distinct units kept; beyond it they are forgotten and found anew. Words of over
     ``long`` bytes go through the library, whose time is near-linear in a word's length."""
 
-    def __init__(self, path: str, most: int = 700_000, long: int = 256):
+    def __init__(self, path: str, most: int = 300_000, long: int = 256):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
