@@ -8,7 +8,10 @@ from __future__ import annotations
 
 import atexit
 import contextlib
+import ctypes
 import os
+import re
+import time
 import uuid
 from collections.abc import Iterator
 from functools import lru_cache
@@ -34,8 +37,11 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a local one only where the session names none."""
+    """The folder that driver and executors share; a local one only where the session names none and
+    all runs on one machine."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not base and not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that all machines share")
     return base or f"/tmp/checkpoints/{spark.sparkContext.applicationId}"
 
 
@@ -115,6 +121,18 @@ def numbered(df: DataFrame) -> DataFrame:
         return stash(df.withColumn("_row", F.monotonically_increasing_id()), "numbered")
 
 
+_tidied = [0.0]
+
+
+def _tidy() -> None:
+    """Give freed memory back: Python workers stay, and share an executor's memory with its JVM."""
+    if time.monotonic() - _tidied[0] > 2:
+        pa.default_memory_pool().release_unused()
+        with contextlib.suppress(AttributeError, OSError):  # where the C library has it
+            ctypes.CDLL(None).malloc_trim(0)
+        _tidied[0] = time.monotonic()
+
+
 def slices(batches: Iterator[pa.RecordBatch], text: str = "text", most: int = 1 << 21) -> Iterator[pa.RecordBatch]:
     """Cut batches so that a slice has ``most`` bytes of text or one row."""
     for batch in batches:
@@ -127,6 +145,7 @@ def slices(batches: Iterator[pa.RecordBatch], text: str = "text", most: int = 1
             to = max(at + 1, int(np.searchsorted(size, done + most, "right")))
             yield batch.slice(at, to - at)
             at = to
+    _tidy()
 
 
 def packed(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -180,12 +199,17 @@ def word_hashes(w: Words, key: int = 0) -> np.ndarray:
     in either, so that no kind of words collides more than another."""
     if not len(w.start):
         return np.zeros(0, _U)
-    at = (np.arange(len(w.data)) - np.repeat(w.start, w.end - w.start + 1)) << 8 | w.data
-    far = np.flatnonzero(at >= _NEAR << 8)
-    late = at[far]
+    size = w.end - w.start
+    at = np.arange(len(w.data), dtype=np.int32)
+    at -= np.repeat(w.start.astype(np.int32), size + 1)
+    far = np.flatnonzero(at >= _NEAR) if size.max() > _NEAR else at[:0]
+    at <<= 8
+    at |= w.data
+    late = at[far].astype(_U)
     at[far] = 0
     drawn = _draws(key)[at]
-    drawn[far] = mix(mix(late.astype(_U) + _U(1)) + _U(key + 1))
+    if len(far):
+        drawn[far] = mix(mix(late + _U(1)) + _U(key + 1))
     drawn[w.end] = 0  # blanks
     return np.add.reduceat(drawn, w.start)
 
@@ -246,6 +270,12 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> _U(31))
 
 
+def distinct(x: np.ndarray) -> np.ndarray:
+    """Sorted distinct values, by a sort (np.unique without more to return hashes, at many times the time)."""
+    x = np.sort(x)
+    return x[np.concatenate([[True], x[1:] != x[:-1]])] if len(x) else x
+
+
 def task_id() -> int:
     from pyspark import TaskContext
 

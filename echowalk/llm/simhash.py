@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, byte_table, documents, ship, slices, stash
+from .common import Words, byte_table, distinct, documents, ship, slices, stash
 from .components import connected_components
 
 
@@ -128,7 +128,7 @@ def _settle(segments: list[tuple[int, int]], distance: int, few: int = 8):
             a.append(x[near])
             b.append(y[near])
         for s, n in zip(start[live & ~small], size[live & ~small]):
-            x, y = forest(np.unique(fp[s : s + n]), distance)
+            x, y = forest(distinct(fp[s : s + n]), distance)
             a.append(x)
             b.append(y)
         none = np.zeros(0, np.uint64)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, byte_table, documents, mix, ship, slices, word_hashes
+from .common import Words, byte_table, distinct, documents, mix, ship, slices, word_hashes
 
 #: Words end at white space and at ASCII signs that are no letters or digits.
 _TABLE = byte_table(lower=True, also_split=bytes(b for b in range(1, 128) if not chr(b).isalnum()))
@@ -41,7 +41,7 @@ def features(texts: pa.Array, bits: int) -> tuple[np.ndarray, np.ndarray]:
             pair = mix(h[:-skip][same] * np.uint64(3) + (h[skip:][same] << np.uint64(1)) + np.uint64(skip))
             index.append(pair >> shift)
             owner.append(doc[:-skip][same])
-    key = np.unique((np.concatenate(owner).astype(np.uint64) << np.uint64(bits)) | np.concatenate(index))
+    key = distinct((np.concatenate(owner).astype(np.uint64) << np.uint64(bits)) | np.concatenate(index))
     return (key & np.uint64((1 << bits) - 1)).astype(np.int64), np.bincount((key >> np.uint64(bits)).astype(np.int64), minlength=len(texts))
 
 

@@ -22,7 +22,7 @@ from itertools import repeat
 import numpy as np
 import pyarrow as pa
 
-from .common import packed
+from .common import distinct, packed
 
 _ASCII = re.compile(rb"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\x09-\x0d\x20a-z0-9]+")
 _NONE = np.uint16(65535)  # no merge
@@ -94,7 +94,7 @@ def units(data: np.ndarray, off: np.ndarray) -> tuple[pa.LargeBinaryArray, np.nd
     opens[off[:-1][np.diff(off) > 0]] = True
     chunk = np.flatnonzero(opens & ~blank)
     odd = np.flatnonzero(kind == _ODD)
-    odd = np.unique(np.searchsorted(chunk, odd, "right") - 1)
+    odd = distinct(np.searchsorted(chunk, odd, "right") - 1)
     begin = np.ones(len(data), bool)
     begin[1:] = (kind[1:] != kind[:-1]) | (kind[1:] == _DIGIT)
     begin[chunk] = True
@@ -122,7 +122,7 @@ class WordBpe:
     """``most``: distinct units kept; beyond it they are forgotten and found anew. Words of over
     ``long`` bytes go through the library, whose time is near-linear in a word's length."""
 
-    def __init__(self, path: str, most: int = 300_000, long: int = 256):
+    def __init__(self, path: str, most: int = 200_000, long: int = 256):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
