@@ -2,16 +2,15 @@
 
 Only a document longer than a sequence is cut. Lengths are taken in bands from long
 to short. In a round, the band's waiting pieces and the gaps of all open
-sequences are range-sorted together, the largest first, and swept: a piece takes the
-least gap before it that no piece between has taken, which is its best fit, and of
-pieces that have the same successor the higher rank gets it. Each task sweeps its own
-range; pieces and gaps that are left over meet by their ranks in the carries between
-tasks, for which the driver has two numbers a task. Gaps are updated and the round is
-repeated until no gap that changed can hold a piece that waits. What is left then
+sequences are range-sorted together, the largest first, and each task sweeps its own
+range: a piece takes the least gap that holds it, its successor, and what is left of the
+gap stays in the sweep; of pieces that have the same successor the higher rank gets it.
+Pieces and gaps that are left over meet by their ranks in the carries between
+tasks, for which the driver has some numbers of each task. Gaps are updated and the round is
+repeated as long as a gap that changed can hold a piece that waits. What is left then
 opens sequences: ranks are grouped, as many neighbours a sequence as it holds.
 
-A gap of a multiple of the band's longest piece stands in the sweep several times.
-Every round and every opening is written to the shared folder.
+Every round is written to the shared folder.
 
 Defined results: null text is the empty document (one token: the separator);
 rows with equal ids are packed as separate documents; an empty table gives no
@@ -30,7 +29,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import word_bpe
-from .common import discard, documents, ship, slices, stash, task_id
+from .common import documents, ship, slices, stash, task_id
 
 _OF_PIECE = "doc_id long, piece int, start long, length int, ids_crc32 long"
 _PIECES = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int32()), ("ids_crc32", pa.int64())])
@@ -108,56 +107,73 @@ def bands(capacity: int, harmonic: int = 6, halves: int = 5) -> list[tuple[int,
 
 
 _GAP, _PIECE = 0, 1
-_HIT, _WAITS, _FREE = 0, 1, 2  # a piece with its gap; a piece or a gap left to the carries
-_TOKEN = pa.schema([("size", pa.int32()), ("kind", pa.int32()), ("bin", pa.int64()), ("nth", pa.int32()), *_PIECES])
-_SWEPT = pa.schema([("state", pa.int32()), ("task", pa.int32()), ("rank", pa.int64()), ("bin", pa.int64()), ("nth", pa.int32()), *_PIECES])
-_SWEPT_SQL = f"state int, task int, rank long, bin long, nth int, {_OF_PIECE}"
-
-
-def sweep(kind: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Of gaps and pieces in falling order of size: pieces that get a gap, their gaps, pieces and gaps
-    left over. A piece closes the nearest open gap, as a bracket does."""
-    free: list[int] = []
-    hits, gaps, waits = [], [], []
-    for at, k in enumerate(kind.tolist()):
+_HIT, _WAITS, _FREE, _REST, _SUMS = range(5)  # placed; a piece or a gap for the carries; a gap too small for them; a task's sums
+_SWEPT = pa.schema([("state", pa.int32()), ("task", pa.int32()), ("rank", pa.int64()), ("bin", pa.int64()), ("gap", pa.int32()), *_PIECES, ("sums", pa.list_(pa.int64()))])
+_SWEPT_SQL = f"state int, task int, rank long, bin long, gap int, {_OF_PIECE}, sums array<long>"
+
+
+def sweep(kind: np.ndarray, size: np.ndarray) -> tuple[list[int], list[int], list[int], list[tuple[int, int]], set[int]]:
+    """Of gaps and pieces in falling order of size: pieces that are placed and the gaps (by place) they go
+    to, in order; pieces that wait; (size, gap) of what is left of gaps, the largest first; and
+    which gaps have changed. A piece takes the least gap that holds it, whole or what is left of it."""
+    open_: list[tuple[int, int]] = []  # (-size, gap), so the end is the least
+    hits, gaps, waits, changed = [], [], [], set()
+    for at, (k, n) in enumerate(zip(kind.tolist(), size.tolist())):
         if k == _GAP:
-            free.append(at)
-        elif free:
-            hits.append(at)
-            gaps.append(free.pop())
-        else:
+            bisect.insort(open_, (-n, at))
+            continue
+        fit = bisect.bisect_right(open_, (-n, len(kind))) - 1
+        if fit < 0:
             waits.append(at)
-    return tuple(np.array(x, np.int64) for x in (hits, gaps, waits, free))
+            continue
+        left, gap = open_.pop(fit)
+        hits.append(at)
+        gaps.append(gap)
+        changed.add(gap)
+        if left + n:
+            bisect.insort(open_, (left + n, gap))
+    return hits, gaps, waits, [(-n, gap) for n, gap in open_], changed
 
 
-def _sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    held = [b for b in batches if b.num_rows]
-    if not held:
-        return
-    rows = pa.Table.from_batches(held).combine_chunks().to_batches()[0]
-    hits, gaps, waits, free = sweep(np.asarray(rows.column("kind")))
-    piece, gap = (rows.take(pa.array(np.concatenate(x))) for x in ((hits, waits, free), (gaps, waits, free)))
-    sizes = [len(hits), len(waits), len(free)]
-    state = np.repeat(np.array([_HIT, _WAITS, _FREE], np.int32), sizes)
-    rank = np.concatenate([np.arange(n) for n in sizes])
-    task = np.full(len(state), task_id(), np.int32)
-    yield pa.RecordBatch.from_arrays([pa.array(state), pa.array(task), pa.array(rank), gap.column("bin"), gap.column("nth"), *(piece.column(c) for c in _OWN)], schema=_SWEPT)
+def _sweep(capacity: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [b for b in batches if b.num_rows]
+        if not held:
+            return
+        rows = pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+        size = np.asarray(rows.column("size"))
+        hits, gaps, waits, left, changed = sweep(np.asarray(rows.column("kind")), size)
+        free = sum(n >= size[-1] for n, _ in left)  # these hold whatever later tasks have
+        wait = size[waits]
+        holds, first = np.unique(capacity // wait, return_index=True) if len(wait) else (wait, wait)
+        most = max((n for n, gap in left[free:] if gap in changed), default=0)
+        sums = [len(hits), len(waits), free, left[free - 1][0] if free else 0, wait[0] if len(wait) else 0, wait[-1] if len(wait) else 0, most, *(x for pair in zip(holds.tolist(), first.tolist()) for x in pair)]
+        counts = [len(hits), len(waits), free, len(left) - free, 1]
+        piece, gap = (rows.take(pa.array(x, pa.int64())) for x in ([*hits, *waits, *([0] * (len(left) + 1))], [*gaps, *([0] * len(waits)), *(g for _, g in left), 0]))
+        state = np.repeat(np.arange(5, dtype=np.int32), counts)
+        rank = np.concatenate([np.arange(n) for n in counts])
+        task = np.full(len(state), task_id(), np.int32)
+        now = np.concatenate([np.zeros(len(hits) + len(waits)), [n for n, _ in left], [0]]).astype(np.int32)
+        yield pa.RecordBatch.from_arrays([pa.array(state), pa.array(task), pa.array(rank), gap.column("bin"), pa.array(now), *(piece.column(c) for c in _OWN), pa.array([None] * (len(state) - 1) + [sums], pa.list_(pa.int64()))], schema=_SWEPT)
+
+    return run
 
 
-def carries(waits: list[int], free: list[int]) -> list[tuple[int, int, int, int, int, int]]:
+def carries(waits: list[int], free: list[int], each=lambda task, before: 1) -> list[tuple[int, int, int, int, int, int]]:
     """Which ranks of what tasks left over meet: (task of pieces, first rank, task of gaps, last rank,
-    how many, first number). Pieces rise through their ranks as gaps fall, for the nearest gap is
+    pieces, pieces a gap). Pieces rise through their ranks as gaps fall, for the nearest gap is
     the last one of the nearest task before."""
     open_: list[list[int]] = []
-    out, number = [], 0
+    out = []
     for task, (n, m) in enumerate(zip(waits, free)):
         at = 0
         while at < n and open_:
             before, last = open_[-1]
-            both = min(n - at, last + 1)
-            out.append((task, at, before, last, both, number))
-            at, number = at + both, number + both
-            open_[-1][1] -= both
+            k = each(task, before)
+            both = min(n - at, (last + 1) * k)
+            out.append((task, at, before, last, both, k))
+            at += both
+            open_[-1][1] -= -(-both // k)
             if open_[-1][1] < 0:
                 open_.pop()
         if m:
@@ -166,11 +182,13 @@ def carries(waits: list[int], free: list[int]) -> list[tuple[int, int, int, int,
 
 
 def _numbers(met: list[tuple[int, int, int, int, int, int]]):
-    """Left-over rows with the number of their meeting, or null."""
-    of: dict[tuple[int, int], list[tuple[int, int, int]]] = {}
-    for task, rank, before, last, n, number in met:
-        of.setdefault((_WAITS, task), []).append((rank, n, number))
-        of.setdefault((_FREE, before), []).append((last, -n, number))
+    """Pieces and gaps left over with the number of their meeting, or null."""
+    of: dict[tuple[int, int], list[tuple[int, int, int, int]]] = {}
+    number = 0
+    for task, rank, before, last, n, k in met:
+        of.setdefault((_WAITS, task), []).append((rank, n, k, number))
+        of.setdefault((_FREE, before), []).append((last, -(-n // k), 0, number))
+        number += -(-n // k)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -178,132 +196,113 @@ def _numbers(met: list[tuple[int, int, int, int, int, int]]):
             number = np.full(b.num_rows, -1, np.int64)
             for s, t in set(zip(state.tolist(), task.tolist())):
                 mine = np.flatnonzero((state == s) & (task == t))
-                for first, n, base in of.get((s, t), ()):
-                    nth = rank[mine] - first if n > 0 else first - rank[mine]
-                    hit = (nth >= 0) & (nth < abs(n))
-                    number[mine[hit]] = base + nth[hit]
+                for first, n, k, base in of.get((s, t), ()):
+                    nth = rank[mine] - first if k else first - rank[mine]
+                    hit = (nth >= 0) & (nth < n)
+                    number[mine[hit]] = base + nth[hit] // max(1, k)
             yield pa.RecordBatch.from_arrays([pa.array(number, mask=number < 0), *b.columns], ["number", *b.schema.names])
 
     return run
 
 
-def _opened(first_of: dict[tuple[int, int], int], bin_of: dict[int, int]):
-    """Places of pieces in sequences that they open; a class is how many of its pieces one holds."""
+def _opened(start: dict[tuple[int, int], tuple[int, int]], bin_of: dict[int, int], capacity: int):
+    """Places of waiting pieces in sequences that they open. Of a task and a class (how many of its pieces a
+    sequence holds), ``start`` has the first rank in the task and its rank in the class."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            task, holds, nth = (np.asarray(b.column(c)).astype(np.int64) for c in ("task", "holds", "nth"))
-            bin_, place = np.zeros(b.num_rows, np.int64), np.zeros(b.num_rows, np.int64)
+            task, nth = np.asarray(b.column("task")), np.asarray(b.column("rank"))
+            holds = capacity // np.asarray(b.column("length")).astype(np.int64)
+            bin_, place = np.zeros(b.num_rows, np.int64), np.full(b.num_rows, -1, np.int64)
             for t, h in set(zip(task.tolist(), holds.tolist())):
-                mine = np.flatnonzero((task == t) & (holds == h))
-                rank = first_of[t, h] + nth[mine]
+                if (t, h) not in start:
+                    continue
+                first, base = start[t, h]
+                mine = np.flatnonzero((task == t) & (holds == h) & (nth >= first))
+                rank = base + nth[mine] - first
                 bin_[mine], place[mine] = bin_of[h] + rank // h, rank % h
-            yield pa.RecordBatch.from_arrays([pa.array(bin_), pa.array(place.astype(np.int32)), *(b.column(c) for c in _OWN)], ["bin", "nth", *_OWN])
-
-    return run
-
-
-def _rank(capacity: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: dict[int, int] = {}
-        for b in batches:
-            holds = capacity // np.asarray(b.column("length")).astype(np.int64)
-            nth = np.zeros(b.num_rows, np.int64)
-            for h in np.unique(holds).tolist():
-                mine = np.flatnonzero(holds == h)
-                nth[mine] = seen.get(h, 0) + np.arange(len(mine))
-                seen[h] = seen.get(h, 0) + len(mine)
-            task = np.full(b.num_rows, task_id(), np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(task), pa.array(holds.astype(np.int32)), pa.array(nth), *(b.column(c) for c in _OWN)], ["task", "holds", "nth", *_OWN])
+            out = pa.RecordBatch.from_arrays([pa.array(bin_), pa.array(place), *(b.column(c) for c in _OWN)], ["bin", "nth", *_OWN])
+            yield out.filter(pa.array(place >= 0))
 
     return run
 
 
 class _Packing:
-    """Gaps of open sequences (bin, gap, changed) and what has been placed: (bin, turn, nth, piece)."""
+    """Gaps of open sequences (bin, gap) and what has been placed: (bin, turn, nth, piece)."""
 
-    def __init__(self, df: DataFrame, capacity: int, rows_a_task: int):
+    def __init__(self, capacity: int, rows_a_task: int):
         self.capacity, self.rows_a_task = capacity, rows_a_task
         self.gaps: DataFrame | None = None
         self.bins = self.turn = 0
         self.placed: list[DataFrame] = []
-        self.spark = df.sparkSession
 
-    def place(self, found: DataFrame, opened: int = 0) -> None:
-        """Take ``found`` (bin, nth and the piece) as placed and update the gaps."""
-        self.placed.append(found.select("bin", F.lit(self.turn).alias("turn"), "nth", *_OWN))
+    def take(self, found: DataFrame) -> None:
+        self.placed.append(found.select("bin", F.lit(self.turn).alias("turn"), F.col("nth").cast("long").alias("nth"), *_OWN))
         self.turn += 1
-        change = found.select("bin", ((F.lit(self.capacity) if opened else F.lit(0)) * (F.col("nth") == 0).cast("int") - F.col("length")).alias("gap"), F.lit(1).alias("changed"))
-        if self.gaps is not None:
-            change = change.unionByName(self.gaps.select("bin", "gap", F.lit(0).alias("changed")))
-        old = self.gaps
-        self.gaps = stash(change.groupBy("bin").agg(F.sum("gap").cast("int").alias("gap"), F.max("changed").alias("changed")).filter("gap > 0"), "gaps")
-        self.bins += opened
-        if old is not None:
-            discard(old)
-
-    def tasks(self, rows: int) -> int:
-        return max(1, -(-rows // self.rows_a_task))
-
-    def round(self, waiting: DataFrame, n: int, longest: int, gaps: int, least: int) -> tuple[DataFrame, int, int, int]:
-        """Match ``n`` waiting pieces with gaps of ``least`` or more: what still waits, how much, no shorter
-        than what, and how many were placed."""
-        most = 1 + 2 * n // gaps  # slots that a gap can stand for
-        each = F.greatest(F.lit(1), F.least(F.lit(most), F.floor(F.col("gap") / longest))).cast("int")
-        slots = self.gaps.filter(F.col("gap") >= least).select("bin", "gap", each.alias("each")).select("bin", "gap", "each", F.explode(F.sequence(F.lit(0), F.col("each") - 1)).alias("nth"))
-        size = F.when(F.col("nth") == 0, F.col("gap") - (F.col("each") - 1) * longest).otherwise(F.lit(longest))
+
+    def round(self, waiting: DataFrame, n: int) -> tuple[DataFrame, dict, dict[int, int], int, bool]:
+        """Match ``n`` waiting pieces with the gaps: the swept rows, the sums of each task, how many of
+        its waiting pieces the carries have placed, how many wait, and whether another round may
+        place some."""
         none = [F.lit(None).cast(f.split()[1]).alias(f.split()[0]) for f in _OF_PIECE.split(", ")]
-        tokens = slots.select(size.cast("int").alias("size"), F.lit(_GAP).alias("kind"), "bin", "nth", *none)
-        tokens = tokens.unionByName(waiting.select(F.col("length").alias("size"), F.lit(_PIECE).alias("kind"), F.lit(None).cast("long").alias("bin"), F.lit(None).cast("int").alias("nth"), *_OWN))
-        order = [F.desc("size"), F.asc("kind"), F.asc("bin"), F.asc("nth"), F.asc("doc_id"), F.asc("start"), F.asc("ids_crc32")]
-        swept = stash(tokens.repartitionByRange(self.tasks(n + gaps), *order).sortWithinPartitions(*order).mapInArrow(_sweep, _SWEPT_SQL), "swept")
-        told = swept.groupBy("task", "state").agg(F.count(F.lit(1)).alias("n"), F.min("length").alias("least")).collect()  # three rows a task
-        left = {(r["task"], r["state"]): r["n"] for r in told}
-        least = min((r["least"] for r in told if r["state"] == _WAITS), default=0)
-        tasks = 1 + max(t for t, _ in left)
-        met = carries(*([left.get((t, s), 0) for t in range(tasks)] for s in (_WAITS, _FREE)))
-        hits = sum(c for (_, s), c in left.items() if s == _HIT)
-        found = swept.filter(F.col("state") == _HIT).select("bin", "nth", *_OWN)
-        waiting = swept.filter(F.col("state") == _WAITS)
+        tokens = waiting.select(F.col("length").alias("size"), F.lit(_PIECE).alias("kind"), F.lit(None).cast("long").alias("bin"), *_OWN)
+        if self.gaps is not None:
+            tokens = tokens.unionByName(self.gaps.select(F.col("gap").alias("size"), F.lit(_GAP).alias("kind"), "bin", *none))
+        order = [F.desc("size"), F.asc("kind"), F.asc("bin"), F.asc("doc_id"), F.asc("start"), F.asc("ids_crc32")]
+        tasks = max(1, -(-(n + self.bins) // self.rows_a_task))
+        swept = stash(tokens.repartitionByRange(tasks, *order).sortWithinPartitions(*order).mapInArrow(_sweep(self.capacity), _SWEPT_SQL), "swept")
+        sums = {r["task"]: r["sums"] for r in swept.filter(F.col("state") == _SUMS).select("task", "sums").collect()}  # one row a task
+        every = range(1 + max(sums))
+        of = lambda t, k: sums[t][k] if t in sums else 0
+        met = carries([of(t, 1) for t in every], [of(t, 2) for t in every], lambda task, before: max(1, of(before, 3) // of(task, 4)))
+        self.take(swept.filter(F.col("state") == _HIT).withColumnRenamed("rank", "nth"))
+        gaps = swept.filter(F.col("state").isin(_FREE, _REST))
+        carried: dict[int, int] = {}
         if met:
-            over = swept.filter(F.col("state") != _HIT).mapInArrow(_numbers(met), f"number long, {_SWEPT_SQL}")
-            free = over.filter((F.col("state") == _FREE) & F.col("number").isNotNull()).select("number", "bin", "nth")
-            waits = over.filter(F.col("state") == _WAITS)
-            joined = waits.filter("number is not null").select("number", *_OWN).join(free, "number")
-            found = found.unionByName(stash(joined.select("bin", "nth", *_OWN), "carried"))
-            waiting = waits.filter("number is null")
-            hits += sum(x[4] for x in met)
-        if hits:
-            self.place(found)
-        return waiting.select(*_OWN), n - hits, least, hits
-
-    def open_for(self, waiting: DataFrame, n: int) -> None:
-        order = [F.desc("length"), F.asc("doc_id"), F.asc("start"), F.asc("ids_crc32")]
-        ranked = waiting.repartitionByRange(self.tasks(n), *order).sortWithinPartitions(*order)
-        ranked = stash(ranked.mapInArrow(_rank(self.capacity), f"task int, holds int, nth long, {_OF_PIECE}"), "ranked")
-        counts = ranked.groupBy("holds", "task").count().orderBy("holds", "task").collect()  # a task has at most as many classes as a band has lengths
-        first_of, bin_of, total = {}, {}, {}
-        for r in counts:
-            first_of[r["task"], r["holds"]] = total.get(r["holds"], 0)
-            total[r["holds"]] = total.get(r["holds"], 0) + r["count"]
-        at = self.bins
-        for h in sorted(total):
-            bin_of[h] = at
-            at += -(-total[h] // h)
-        self.place(ranked.mapInArrow(_opened(first_of, bin_of), f"bin long, nth int, {_OF_PIECE}"), at - self.bins)
-
-    def band(self, waiting: DataFrame, n: int, longest: int, least: int) -> None:
-        hits = -1
-        while n and self.gaps is not None:
-            fits = self.gaps.filter(F.col("gap") >= least).agg(F.count(F.lit(1)), F.coalesce(F.max("changed"), F.lit(0))).first()
-            if not fits[0] or hits > 0 and not fits[1]:
+            over = swept.filter(F.col("state").isin(_WAITS, _FREE)).mapInArrow(_numbers(met), f"number long, {_SWEPT_SQL}").filter("number is not null")
+            free = over.filter(F.col("state") == _FREE).select("number", "bin", "gap")
+            pieces = over.filter(F.col("state") == _WAITS).select("number", F.col("rank").alias("nth"), *_OWN)
+            joined = stash(pieces.join(free, "number").select("bin", "gap", "nth", *_OWN), "carried")
+            self.take(joined)
+            changed = joined.groupBy("bin").agg((F.first("gap") - F.sum("length")).cast("int").alias("gap")).filter("gap > 0")
+            gaps = gaps.join(joined.select("bin").distinct(), "bin", "left_anti").select("bin", "gap").unionByName(changed)
+            for task, _, _, _, both, _ in met:
+                carried[task] = carried.get(task, 0) + both
+        self.gaps = gaps.select("bin", "gap")
+        left = {t: x[1] - carried.get(t, 0) for t, x in sums.items()}
+        least = min((x[5] for t, x in sums.items() if left[t]), default=0)
+        placed = n - sum(left.values())
+        again = 100 * placed >= n and (bool(met) or any(x[6] >= least for x in sums.values()))
+        return swept, sums, carried, sum(left.values()), again
+
+    def band(self, waiting: DataFrame, n: int) -> None:
+        while True:
+            swept, sums, carried, n, again = self.round(waiting, n)
+            if not n:
+                return
+            after = F.lit(0)
+            for task, k in carried.items():
+                after = F.when(F.col("task") == task, k).otherwise(after)
+            waits = swept.filter((F.col("state") == _WAITS) & (F.col("rank") >= after))
+            if not again:
                 break
-            before = n
-            waiting, n, least, hits = self.round(waiting, n, longest, fits[0], least)
-            if 100 * hits < before:  # the gaps stay for what is shorter
-                break
-        if n:
-            self.open_for(waiting, n)
+            waiting = waits.select(*_OWN)
+        start, total = {}, {}
+        for task in sorted(sums):
+            classes = list(zip(sums[task][7::2], [*sums[task][8::2]]))
+            for (h, first), (_, end) in zip(classes, [*classes[1:], (0, sums[task][1])]):
+                first = max(first, carried.get(task, 0))
+                if end > first:
+                    start[task, h] = (first, total.get(h, 0))
+                    total[h] = total.get(h, 0) + end - first
+        bin_of = {}
+        for h in sorted(total):
+            bin_of[h] = self.bins
+            self.bins += -(-total[h] // h)
+        found = stash(swept.filter(F.col("state") == _WAITS).mapInArrow(_opened(start, bin_of, self.capacity), f"bin long, nth long, {_OF_PIECE}"), "opened")
+        self.take(found)
+        gaps = found.groupBy("bin").agg((F.lit(self.capacity) - F.sum("length")).cast("int").alias("gap")).filter("gap > 0")
+        self.gaps = gaps if self.gaps is None else self.gaps.unionByName(gaps)
 
 
 def pack(df: DataFrame, tokenizer_path: str, capacity: int = 2048, separator: int = 0, id_col: str = "doc_id", text_col: str = "text", rows_a_task: int = 100_000) -> DataFrame:
@@ -322,12 +321,11 @@ def place(pieces: DataFrame, capacity: int, rows_a_task: int = 100_000) -> DataF
     band = F.lit(len(cuts) - 1)
     for k, (_, under) in reversed(list(enumerate(cuts))[:-1]):
         band = F.when(F.col("length") > under, k).otherwise(band)
-    seen = {r["band"]: r for r in pieces.groupBy(band.alias("band")).agg(F.count(F.lit(1)).alias("n"), F.min("length").alias("least"), F.max("length").alias("longest")).collect()}  # one row a band
-    state = _Packing(pieces, capacity, rows_a_task)
+    seen = {r["band"]: r["count"] for r in pieces.groupBy(band.alias("band")).count().collect()}  # one row a band
+    state = _Packing(capacity, rows_a_task)
     for k, (longest, under) in enumerate(cuts):
         if k in seen:
-            own = pieces.filter((F.col("length") <= longest) & (F.col("length") > under))
-            state.band(own, seen[k]["n"], seen[k]["longest"], seen[k]["least"])
+            state.band(pieces.filter((F.col("length") <= longest) & (F.col("length") > under)), seen[k])
     if not state.placed:
         return pieces.select(*_OWN[:3], F.col("length").cast("long").alias("length"), "ids_crc32", F.lit(0).cast("long").alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
     every = state.placed[0]

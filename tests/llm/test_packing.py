@@ -48,27 +48,39 @@ def test_rows_that_repeat_and_extremes(spark):
         assert packed(spark, lengths, 16, 8) == want
 
 
-def test_sweep_gives_each_piece_its_successor():
-    # falling sizes: gap 9, piece 8, piece 7, gap 6, gap 5, piece 5, piece 4
-    hits, gaps, waits, free = packing.sweep(np.array([0, 1, 1, 0, 0, 1, 1]))
-    assert hits.tolist() == [1, 5, 6] and gaps.tolist() == [0, 4, 3] and waits.tolist() == [2] and free.tolist() == []
-
-
-def test_carries_are_those_of_one_sweep():
+def test_sweep_is_best_fit():
+    # falling sizes: gap 9, piece 8, piece 7, gap 6, gap 5, piece 5, piece 1
+    hits, gaps, waits, left, changed = packing.sweep(np.array([0, 1, 1, 0, 0, 1, 1]), np.array([9, 8, 7, 6, 5, 5, 1]))
+    assert (hits, gaps, waits, left, changed) == ([1, 5, 6], [0, 4, 0], [2], [(6, 3)], {0, 4})
     rng = random.Random(12)
+    for _ in range(100):
+        tokens = sorted(((rng.randint(1, 30), rng.randint(0, 1)) for _ in range(40)), key=lambda t: (-t[0], t[1]))
+        room, want, waiting = {}, [], []
+        for at, (n, k) in enumerate(tokens):
+            if k == 0:
+                room[at] = n
+            elif fits := [(r, -g) for g, r in room.items() if r >= n]:
+                want.append((at, min(fits)[0]))
+                room[-min(fits)[1]] -= n
+            else:
+                waiting.append(at)
+        hits, gaps, waits, left, _ = packing.sweep(np.array([k for _, k in tokens]), np.array([n for n, _ in tokens]))
+        assert hits == [at for at, _ in want] and waits == waiting
+        assert sorted(n for n, _ in left) == sorted(r for r in room.values() if r)
+
+
+def test_carries_pair_ranks_once_and_downwards():
+    rng = random.Random(13)
     for _ in range(200):
-        kind = np.array([rng.randint(0, 1) for _ in range(rng.randint(1, 40))])
-        cut = sorted(rng.choices(range(len(kind) + 1), k=3))
-        parts = [np.arange(len(kind))[a:b] for a, b in zip([0, *cut], [*cut, len(kind)])]
-        pairs, left = set(), []
-        for at in parts:
-            hits, gaps, waits, free = packing.sweep(kind[at])
-            pairs |= set(zip(at[hits].tolist(), at[gaps].tolist()))
-            left.append((at[waits], at[free]))
-        for q, rank, i, last, n, _ in packing.carries([len(w) for w, _ in left], [len(f) for _, f in left]):
-            pairs |= {(int(left[q][0][rank + k]), int(left[i][1][last - k])) for k in range(n)}
-        hits, gaps, _, _ = packing.sweep(kind)
-        assert pairs == set(zip(hits.tolist(), gaps.tolist()))
+        waits, free = ([rng.randint(0, 6) for _ in range(5)] for _ in range(2))
+        k = rng.randint(1, 3)
+        pieces, gaps = [], []
+        for q, rank, i, last, n, each in packing.carries(waits, free, lambda task, before: k):
+            assert i < q and each == k
+            pieces += [(q, rank + x) for x in range(n)]
+            gaps += [(i, last - x) for x in range(-(-n // k))]
+        assert len(set(pieces)) == len(pieces) and all(r < waits[q] for q, r in pieces)
+        assert len(set(gaps)) == len(gaps) and all(0 <= r < free[i] for i, r in gaps)
 
 
 def test_long_words_take_linear_time():
