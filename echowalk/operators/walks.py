@@ -86,8 +86,8 @@ def stepwise_pairs(walkers: DataFrame, adj: DataFrame, longest: int, seed: int,
 
 
 def local(walkers: DataFrame, adj: DataFrame, longest: int, seed: int, most_rows: int = 2_000_000) -> DataFrame:
-    """No exchange: the adjacency, if it has at most ``most_rows`` edges, is sent to all, and walks
-    are walked where their starts are."""
+    """No exchange while walking: the adjacency, if it has at most ``most_rows`` edges, is sent to all,
+    and the walks of a start are walked in one task; starts are dealt evenly before."""
     table = adj.select("node", "rk", "nbr").limit(most_rows + 1).toArrow()
     if table.num_rows > most_rows:
         raise ValueError(f"the adjacency has over {most_rows} edges: use stepwise or stitched")
@@ -115,7 +115,8 @@ def local(walkers: DataFrame, adj: DataFrame, longest: int, seed: int, most_rows
                 who, step, where = (np.concatenate(x) for x in zip(*out))
                 yield pa.RecordBatch.from_arrays([pa.array(start[who]), pa.array(number[who], pa.int32()), pa.array(planned[who], pa.int32()), pa.array(step, pa.int32()), pa.array(where)], list(STEPS))
 
-    return walkers.select("start", "walk_no", "planned_len").mapInArrow(run, "start long, walk_no int, planned_len int, step int, node long")
+    tasks = 2 * adj.sparkSession.sparkContext.defaultParallelism
+    return walkers.select("start", "walk_no", "planned_len").repartition(tasks, "start").mapInArrow(run, "start long, walk_no int, planned_len int, step int, node long")
 
 
 def generate(g: Graph, plan: SamplingPlan, seed: int, strategy: str = "stepwise", layout: str = "merged", starts: DataFrame | None = None, adj: DataFrame | None = None, fast: bool = False) -> DataFrame:

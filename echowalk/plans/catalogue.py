@@ -395,7 +395,15 @@ def warmup_scores(spark, d):
     return rounded(simrank.warm_up(_pages(spark, d), SOURCE, C, 0.3, SEED, strategy="local"), "score")
 
 
-@query()
+_COIN_N = "(SELECT CAST(ceil(ln(2.0 * n * n) / (2 * pow(0.3, 2))) AS BIGINT) FROM n)"
+_COIN_MOST = f"(SELECT CAST(ceil(3 * ln(n / CAST(0.3 AS DOUBLE)) / ln(1 / sqrt(CAST({C} AS DOUBLE)))) AS INTEGER) FROM n)"
+
+
+@query(f"""WITH RECURSIVE {_TRADE.format(300000)}, {_ADJ}, {_N}, src AS (SELECT min(id) AS id FROM nodes),
+    planned AS (SELECT id AS start, walk_no, {_COIN_MOST} AS planned_len FROM nodes, range(1, 1 + {_COIN_N}) t(walk_no)),
+    {_walks().replace("WHERE w.step < w.planned_len", f"WHERE {draw_sql(SEED, 'coin', 'w.start', 'w.walk_no', 'w.step + 1')} < {int(math.sqrt(C) * SPAN)} AND w.step < w.planned_len")},
+    met AS (SELECT DISTINCT s.start AS source, t.start AS node, t.walk_no FROM steps t JOIN steps s USING (walk_no, step, node) JOIN src ON s.start = src.id WHERE t.start <> s.start)
+    SELECT source, node, round(count(*) / CAST({_COIN_N} AS DOUBLE), 9) AS score FROM met GROUP BY 1, 2 UNION ALL SELECT id, id, 1.0 FROM src""")
 def warmup_scores_per_step_coin(spark, d):
     g = graphs.from_edges(workloads.nation_trade(spark, d).edges)
     first = g.nodes.agg(F.min("id")).first()[0]
@@ -637,17 +645,64 @@ def messages_per_walk(spark, d):
 
 @query()
 def ledger_rounds_by_strategy(spark, d):
+    """Exchanges, rows and bytes that ran for each way to walk and to detect meetings."""
     g = _pages(spark, d)
     plan = _planned_of(g)
     adj = walks.prepared(g)
     book = ledger.Ledger(spark, plan.n)
-    for name in ("local", "stepwise"):
-        book.add(name, "walks", walks.generate(g, plan, SEED, name, adj=adj))
+    for name in ("local", "stepwise", "stitched"):
+        book.measure(name, "walks", lambda name=name: walks.generate(g, plan, SEED, name, adj=adj))
     t = simrank.labelled_tuples(g, plan, SEED, "local", adj=adj)
     for name in meeting.METHODS:
-        book.add(name, "meetings", meeting.detect(t, SOURCE, name))
-    walked = spark.createDataFrame([(s, "walks by design", ledger.rounds_of(s, plan.longest)) for s in ("local", "stepwise", "stitched")], "method string, phase string, rounds int")
-    return book.frame().select("method", "phase", "rounds", "total_rows", "max_partition_rows").unionByName(walked, allowMissingColumns=True)
+        book.measure(name, "meetings", lambda name=name: meeting.detect(t, SOURCE, name))
+    return book.frame()
+
+
+@query()
+def rounds_by_size(spark, d):
+    """Exchanges of walking against the number of nodes and the longest length, on three graphs."""
+    book = ledger.Ledger(spark)
+    for name, g in (("nation_trade", _trade(spark, d)[0]), ("user_transition", workloads.user_transition(spark, d, end="2024-01-02")), ("page_links", _pages(spark, d))):
+        plan, adj = _planned_of(g, eps=0.3), walks.prepared(g)
+        for strategy in ("local", "stepwise", "stitched"):
+            book.measure(strategy, f"{name}: {plan.n} nodes, longest {plan.longest}", lambda: walks.generate(g, plan, SEED, strategy, adj=adj))
+    return book.frame()
+
+
+@query()
+def comparison_of_methods(spark, d):
+    """Every method at one eps on the undirected page graph: what ran, and the error of its scores."""
+    g, eps = _pages(spark, d), 0.2
+    truth = tables.keep(exact.single_source(g, SOURCE, C, 10), "truth")
+    runs = {
+        "fixed_length": lambda: simrank.single_source(g, SOURCE, C, eps, SEED, normalization="unbiased"),
+        "fixed_length_stitched": lambda: simrank.single_source(g, SOURCE, C, eps, SEED, normalization="unbiased", strategy="stitched", method="broadcast_join"),
+        "warm_up": lambda: simrank.warm_up(g, SOURCE, C, eps, SEED),
+        "linear_jacobi": lambda: baselines.linear_jacobi(g, SOURCE, C, 8, jacobi_iters=4, eps_p=eps, seed=SEED),
+        "unidirectional": lambda: baselines.unidirectional(g, SOURCE, C, 6, math.ceil(bounds.warm_up_walks(g.size(), eps)), SEED),
+        "linear_forest": lambda: baselines.linear_forest(g, SOURCE, C, 8, eps_d=eps, seed=SEED),
+        "exact": lambda: exact.single_source(g, SOURCE, C, 10),
+    }
+    book, out = ledger.Ledger(spark, g.size()), None
+    for name, run in runs.items():
+        est = book.measure(name, f"eps {eps}", run)
+        part = metrics.error_summary(est, truth).select(F.lit(name).alias("method"), "max_abs_error", "mean_abs_error", "bias")
+        out = part if out is None else out.union(part)
+    return book.frame().join(out, "method")
+
+
+@query()
+def error_by_eps_and_c(spark, d):
+    """Error and walks of a node as eps and c move, on the undirected page graph."""
+    g, out = _pages(spark, d), None
+    for c, eps in ((0.6, 0.3), (0.6, 0.2), (0.6, 0.1), (0.4, 0.2), (0.8, 0.2)):
+        truth = exact.single_source(g, SOURCE, c, 12)
+        est = simrank.single_source(g, SOURCE, c, eps, SEED, normalization="unbiased", strategy="local", method="broadcast_join")
+        plan = SamplingPlan.create(g.size(), c, eps)
+        part = metrics.error_summary(est, truth).select(F.lit(c).alias("c"), F.lit(eps).alias("eps"), F.lit(plan.total).alias("walks"), F.lit(plan.steps).alias("steps"), "max_abs_error", "mean_abs_error", "bias")
+        part = tables.keep(part, "error")
+        out = part if out is None else out.union(part)
+    return rounded(out, "max_abs_error", "mean_abs_error", "bias")
 
 
 @query()
@@ -687,6 +742,13 @@ def baseline_linear_constant_diagonal(spark, d):
     return rounded(baselines.linear_jacobi(g, first, C, 6, diagonal="constant"), "score")
 
 
+def _sweeps_sql(sweeps: int) -> str:
+    """diag by sweeps over the system a(i, k, a)."""
+    parts = [f"d0 AS (SELECT id AS node, CAST({1.0 - C} AS DOUBLE) AS d FROM nodes)"]
+    parts += [f"d{s} AS (SELECT o.i AS node, (1 - coalesce(r.rest, 0)) / o.a AS d FROM a o LEFT JOIN (SELECT a.i, sum(a.a * x.d) AS rest FROM a JOIN d{s - 1} x ON x.node = a.k WHERE a.i <> a.k GROUP BY a.i) r ON r.i = o.i WHERE o.i = o.k)" for s in range(1, sweeps + 1)]
+    return ", ".join([*parts, f"diag AS (SELECT node, d FROM d{sweeps})"])
+
+
 def _jacobi_sql(length: int, sweeps: int) -> str:
     parts = ["r0 AS (SELECT id AS i, id AS k, CAST(1 AS DOUBLE) AS m FROM nodes)"]
     parts += [f"r{t} AS (SELECT i, nbr AS k, sum(m * p) AS m FROM r{t - 1} r JOIN p ON p.node = r.k GROUP BY 1, 2)" for t in range(1, length + 1)]
@@ -703,30 +765,59 @@ def baseline_linear_jacobi_exact_rows(spark, d):
     return rounded(baselines.linear_jacobi(g, first, C, 5, jacobi_iters=4, rows="exact"), "score")
 
 
-@query()
+def _walkers(per_node: str, length: str, doubled: bool = False) -> str:
+    """planned(start, walk_no, planned_len): ``per_node`` walks of every node."""
+    return f"planned AS (SELECT id AS start, walk_no, {length} AS planned_len FROM nodes, range(1, 1 + {'2 * ' * doubled}{per_node}) t(walk_no))"
+
+
+def _trade_walks(planned: str, rest: str, tree: bool = False) -> str:
+    """Walks of the trade graph, then ``rest``, then the linear form's scores."""
+    walked = _walks()
+    if tree:
+        walked = walked.replace(draw_sql(SEED, "step", "w.start", "w.walk_no", "w.step + 1"), draw_sql(SEED, "tree", "w.node", "w.walk_no", "w.step + 1"))
+    return f"WITH RECURSIVE {_TRADE.format(300000)}, {_ADJ}, {_N}, p AS (SELECT node, nbr, 1.0 / node_deg AS p FROM adj), src AS (SELECT min(id) AS id FROM nodes), {planned}, {walked}, {rest} {_LINEAR_OUT}"
+
+
+_ROWS_N = "(SELECT CAST(ceil(ln(2.0 * n * n) / (2 * pow(0.1, 2))) AS BIGINT) FROM n)"
+_PAIRS_N = "(SELECT CAST(ceil(ln(2.0 * n * n) / (2 * pow(0.2, 2))) AS BIGINT) FROM n)"
+_PAIRS_LEN = f"least(CAST(floor(ln(({draw_sql(SEED, 'length', 'id', 'walk_no')} + 0.5) / {float(SPAN)}) / ln(sqrt(CAST({C} AS DOUBLE)))) AS INTEGER), (SELECT CAST(ceil(ln(n / CAST(0.2 AS DOUBLE)) / ln(1 / sqrt(CAST({C} AS DOUBLE)))) AS INTEGER) FROM n))"
+_COUNTED_ROWS = f"""seen AS (SELECT start AS i, step, node AS k, count(*) / CAST({_ROWS_N} AS DOUBLE) AS m FROM steps GROUP BY 1, 2, 3),
+    a AS (SELECT i, k, sum(a) AS a FROM (SELECT id AS i, id AS k, CAST(1 AS DOUBLE) AS a FROM nodes UNION ALL SELECT i, k, m * m * pow(CAST({C} AS DOUBLE), step) FROM seen) GROUP BY i, k)"""
+_MET_DIAGONAL = f"""met AS (SELECT DISTINCT x.start, x.walk_no FROM steps x JOIN steps y ON y.start = x.start AND y.walk_no = x.walk_no + 1 AND y.step = x.step AND y.node = x.node WHERE x.walk_no % 2 = 1),
+    diag AS (SELECT id AS node, 1 - count(met.start) / CAST({_PAIRS_N} AS DOUBLE) AS d FROM nodes LEFT JOIN met ON met.start = id GROUP BY id)"""
+
+
+@query(_trade_walks(_walkers(_ROWS_N, "5"), f"{_COUNTED_ROWS}, {_linear(5, _sweeps_sql(4))}"))
 def baseline_linear_jacobi(spark, d):
     g, first = _trade(spark, d)
     return rounded(baselines.linear_jacobi(g, first, C, 5, rows_per_batch=10, jacobi_iters=4, eps_p=0.1, seed=SEED), "score")
 
 
-@query()
+@query(f"""WITH RECURSIVE {_PAGES}, {_ADJ}, src AS (SELECT CAST({SOURCE} AS BIGINT) AS id), planned AS (SELECT id AS start, walk_no, 10 AS planned_len FROM src, range(1, 2001) t(walk_no)), {_walks()},
+    stood AS (SELECT walk_no, step, node FROM w), ends AS (SELECT e.walk_no, CAST(e.step / 2 AS BIGINT) AS t, m.node AS mid, e.node FROM stood e JOIN stood m ON m.walk_no = e.walk_no AND 2 * m.step = e.step WHERE e.step > 0),
+    early AS (SELECT DISTINCT e.walk_no, e.t FROM ends e JOIN stood x ON x.walk_no = e.walk_no AND x.step < e.t JOIN stood y ON y.walk_no = e.walk_no AND y.step = 2 * e.t - x.step AND y.node = x.node)
+    SELECT CAST({SOURCE} AS BIGINT) AS source, q.node, round(sum(pow(CAST({C} AS DOUBLE), t) * dm.deg / dn.deg) / 2000, 9) AS score FROM (SELECT ends.* FROM ends ANTI JOIN early USING (walk_no, t)) q JOIN degree dm ON dm.node = q.mid JOIN degree dn ON dn.node = q.node
+    WHERE q.node <> {SOURCE} GROUP BY q.node UNION ALL SELECT id, id, 1.0 FROM src""")
 def baseline_unidirectional(spark, d):
     return rounded(baselines.unidirectional(_pages(spark, d), SOURCE, C, 5, 2000, SEED), "score")
 
 
-@query()
+@query(_trade_walks(_walkers(_PAIRS_N, _PAIRS_LEN, True), _linear(8, _MET_DIAGONAL), tree=True))
 def baseline_linear_forest(spark, d):
     g, first = _trade(spark, d)
     return rounded(baselines.linear_forest(g, first, C, 8, eps_d=0.2, seed=SEED), "score")
 
 
-@query()
+@query(_trade_walks(_walkers(_PAIRS_N, _PAIRS_LEN, True), _linear(8, _MET_DIAGONAL)))
 def baseline_linear_pair_diagonal(spark, d):
     g, first = _trade(spark, d)
     return rounded(baselines.linear_forest(g, first, C, 8, eps_d=0.2, diagonal="pair_mc", seed=SEED), "score")
 
 
-@query()
+_EXACT_ROWS = _jacobi_sql(6, 1).split(", d0 AS")[0]
+
+
+@query(f"WITH {_TRADE_ALL}, {_linear(6, f'{_EXACT_ROWS}, {_sweeps_sql(30)}')} {_LINEAR_OUT}")
 def baseline_linear_exact_diagonal(spark, d):
     g, first = _trade(spark, d)
     return rounded(baselines.linear_forest(g, first, C, 6, diagonal="exact"), "score")

@@ -31,7 +31,6 @@ def fused_meets(g: Graph, plan: SamplingPlan, source: int, seed: int, adj: DataF
     and what is sent to all is a step of one node's walks."""
     adj = walks.prepared(g) if adj is None else adj
     own_start = g.nodes.filter(F.col("id") == source).select("id")
-    own_start = g.nodes.filter(F.col("id") == source).select("id")
     starts = None if targets is None else targets.select("id").union(own_start)
     lengths = keep(walks.pre_permuted(g, plan, seed, own_start).select("pair", F.col("planned_len").alias("source_len")), "source-lengths")
     ahead = walks.pre_permuted(g, plan, seed, starts).join(F.broadcast(lengths), "pair").select("start", "walk_no", "pair", "planned_len", "source_len", F.col("start").alias("node"), "deg")
