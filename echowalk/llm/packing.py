@@ -205,6 +205,27 @@ def _numbers(met: list[tuple[int, int, int, int, int, int]]):
     return run
 
 
+def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of rows sorted by number, a gap and then its pieces: the pieces with their sequence, and what is
+    left of the gap."""
+    bin_ = gap = number = None
+    for b in batches:
+        rows, out = b.to_pydict(), []
+        for k, now in enumerate(rows["number"]):
+            if rows["state"][k] == _FREE:
+                if gap:
+                    out.append((bin_, gap, None, *[None] * len(_OWN)))
+                number, bin_, gap = now, rows["bin"][k], rows["gap"][k]
+            else:
+                assert now == number
+                gap -= rows["length"][k]
+                out.append((bin_, None, rows["rank"][k], *(rows[c][k] for c in _OWN)))
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), (pa.int64(), pa.int32(), pa.int64(), *_PIECES.types))], ["bin", "gap", "nth", *_OWN])
+    if gap:
+        yield pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in zip((bin_, gap, None, *[None] * len(_OWN)), (pa.int64(), pa.int32(), pa.int64(), *_PIECES.types))], ["bin", "gap", "nth", *_OWN])
+
+
 def _opened(start: dict[tuple[int, int], tuple[int, int]], bin_of: dict[int, int], capacity: int):
     """Places of waiting pieces in sequences that they open. Of a task and a class (how many of its pieces a
     sequence holds), ``start`` has the first rank in the task and its rank in the class."""
@@ -256,19 +277,18 @@ class _Packing:
         of = lambda t, k: sums[t][k] if t in sums else 0
         met = carries([of(t, 1) for t in every], [of(t, 2) for t in every], lambda task, before: max(1, of(before, 3) // of(task, 4)))
         self.take(swept.filter(F.col("state") == _HIT).withColumnRenamed("rank", "nth"))
-        gaps = swept.filter(F.col("state").isin(_FREE, _REST))
+        gaps = swept.filter(F.col("state").isin(_FREE, _REST)).select("bin", "gap")
         carried: dict[int, int] = {}
         if met:
-            over = swept.filter(F.col("state").isin(_WAITS, _FREE)).mapInArrow(_numbers(met), f"number long, {_SWEPT_SQL}").filter("number is not null")
-            free = over.filter(F.col("state") == _FREE).select("number", "bin", "gap")
-            pieces = over.filter(F.col("state") == _WAITS).select("number", F.col("rank").alias("nth"), *_OWN)
-            joined = stash(pieces.join(free, "number").select("bin", "gap", "nth", *_OWN), "carried")
-            self.take(joined)
-            changed = joined.groupBy("bin").agg((F.first("gap") - F.sum("length")).cast("int").alias("gap")).filter("gap > 0")
-            gaps = gaps.join(joined.select("bin").distinct(), "bin", "left_anti").select("bin", "gap").unionByName(changed)
-            for task, _, _, _, both, _ in met:
-                carried[task] = carried.get(task, 0) + both
-        self.gaps = gaps.select("bin", "gap")
+            over = swept.filter(F.col("state").isin(_WAITS, _FREE)).mapInArrow(_numbers(met), f"number long, {_SWEPT_SQL}")
+            pairs = over.filter("number is not null").repartition(tasks, "number").sortWithinPartitions("number", F.desc("state"), "rank")
+            both = stash(pairs.select("number", "state", "bin", "gap", "rank", *_OWN).mapInArrow(_meet, f"bin long, gap int, nth long, {_OF_PIECE}"), "carried")
+            self.take(both.filter("length is not null"))
+            unmet = over.filter((F.col("state") == _FREE) & F.col("number").isNull()).select("bin", "gap")
+            gaps = unmet.unionByName(swept.filter(F.col("state") == _REST).select("bin", "gap")).unionByName(both.filter("length is null").select("bin", "gap"))
+            for task, _, _, _, n_met, _ in met:
+                carried[task] = carried.get(task, 0) + n_met
+        self.gaps = gaps
         left = {t: x[1] - carried.get(t, 0) for t, x in sums.items()}
         least = min((x[5] for t, x in sums.items() if left[t]), default=0)
         placed = n - sum(left.values())
