@@ -226,6 +226,23 @@ def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in zip((bin_, gap, None, *[None] * len(_OWN)), (pa.int64(), pa.int32(), pa.int64(), *_PIECES.types))], ["bin", "gap", "nth", *_OWN])
 
 
+def _still(carried: dict[int, int]):
+    """Waiting pieces that the carries have not placed: of each task, those from its number on."""
+    task_of = np.array(sorted(carried), np.int64)
+    first_of = np.array([carried[t] for t in task_of.tolist()], np.int64)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            task, rank = np.asarray(b.column("task")), np.asarray(b.column("rank"))
+            first = np.zeros(b.num_rows, np.int64)
+            if len(task_of):
+                at = np.minimum(np.searchsorted(task_of, task), len(task_of) - 1)
+                first = np.where(task_of[at] == task, first_of[at], 0)
+            yield b.select(_OWN).filter(pa.array(rank >= first))
+
+    return run
+
+
 def _opened(start: dict[tuple[int, int], tuple[int, int]], bin_of: dict[int, int], capacity: int):
     """Places of waiting pieces in sequences that they open. Of a task and a class (how many of its pieces a
     sequence holds), ``start`` has the first rank in the task and its rank in the class."""
@@ -300,13 +317,9 @@ class _Packing:
             swept, sums, carried, n, again = self.round(waiting, n)
             if not n:
                 return
-            after = F.lit(0)
-            for task, k in carried.items():
-                after = F.when(F.col("task") == task, k).otherwise(after)
-            waits = swept.filter((F.col("state") == _WAITS) & (F.col("rank") >= after))
             if not again:
                 break
-            waiting = waits.select(*_OWN)
+            waiting = swept.filter(F.col("state") == _WAITS).mapInArrow(_still(carried), _OF_PIECE)
         start, total = {}, {}
         for task in sorted(sums):
             classes = list(zip(sums[task][7::2], [*sums[task][8::2]]))
@@ -321,7 +334,8 @@ class _Packing:
             self.bins += -(-total[h] // h)
         found = stash(swept.filter(F.col("state") == _WAITS).mapInArrow(_opened(start, bin_of, self.capacity), f"bin long, nth long, {_OF_PIECE}"), "opened")
         self.take(found)
-        gaps = found.groupBy("bin").agg((F.lit(self.capacity) - F.sum("length")).cast("int").alias("gap")).filter("gap > 0")
+        tasks = max(1, -(-n // self.rows_a_task))
+        gaps = found.repartition(tasks, "bin").groupBy("bin").agg((F.lit(self.capacity) - F.sum("length")).cast("int").alias("gap")).filter("gap > 0")
         self.gaps = gaps if self.gaps is None else self.gaps.unionByName(gaps)
 
 
@@ -341,7 +355,11 @@ def place(pieces: DataFrame, capacity: int, rows_a_task: int = 100_000) -> DataF
     band = F.lit(len(cuts) - 1)
     for k, (_, under) in reversed(list(enumerate(cuts))[:-1]):
         band = F.when(F.col("length") > under, k).otherwise(band)
-    seen = {r["band"]: r["count"] for r in pieces.groupBy(band.alias("band")).count().collect()}  # one row a band
+    counts = pieces.agg(*(F.count_if(band == k).alias(str(k)) for k in range(len(cuts)))).first()
+    seen = {k: counts[str(k)] for k in range(len(cuts)) if counts[str(k)]}
+    tasks = max(1, -(-sum(seen.values()) // rows_a_task))
+    by_length = [F.desc("length"), F.asc("doc_id"), F.asc("start")]
+    pieces = stash(pieces.repartitionByRange(tasks, *by_length).sortWithinPartitions(*by_length), "by-length")  # a band reads its own files
     state = _Packing(capacity, rows_a_task)
     for k, (longest, under) in enumerate(cuts):
         if k in seen:
@@ -351,6 +369,7 @@ def place(pieces: DataFrame, capacity: int, rows_a_task: int = 100_000) -> DataF
     every = state.placed[0]
     for more in state.placed[1:]:
         every = every.unionByName(more)
+    every = every.repartition(tasks, "bin")
     before = Window.partitionBy("bin").orderBy("turn", "nth").rowsBetween(Window.unboundedPreceding, -1)
     offset = F.coalesce(F.sum("length").over(before), F.lit(0)).cast("long")
     return every.select("doc_id", "piece", "start", F.col("length").cast("long").alias("length"), "ids_crc32", F.col("bin").alias("sequence_id"), offset.alias("offset"))
