@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, byte_table, distinct, documents, ship, slices, stash
+from .common import Words, byte_table, distinct, documents, numbered, ship, slices, stash
 from .components import connected_components
 
 
@@ -202,3 +202,17 @@ def near_components(df: DataFrame, shingle: int = 3, distance: int = 3, seed: in
     by_fp = nodes.join(roots, "node", "left").select("fp", F.coalesce("root", "node").alias("component"))
     real = F.when(F.col("component") < (1 << 62), F.col("component"))
     return docs.join(by_fp, "fp").select("doc_id", "fp", real.alias("component_id"))
+
+
+def keep_representatives(df: DataFrame, shingle: int = 3, distance: int = 3, seed: int = 42, segments: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Rows of ``df``, all columns, one for each component of texts linked by ``near_components``' rule:
+    that of the least id. Rows are told by their own key, so ids may repeat or be null."""
+    df = numbered(df)
+    made = stash(fingerprints(df, shingle, seed, "_row", text_col), "fingerprints")
+    lead = F.min(F.struct(F.col(id_col).isNull().alias("none"), F.col(id_col).alias("id"), "_row")).alias("lead")
+    nodes = df.select("_row", id_col).join(made.select(F.col("doc_id").alias("_row"), "fp"), "_row")
+    nodes = stash(nodes.groupBy("fp").agg(lead), "nodes")
+    links = stash(fingerprint_links(nodes.select("fp"), distance, segments), "links")
+    roots = connected_components(links).withColumnRenamed("node", "fp")
+    best = nodes.join(roots, "fp", "left").groupBy(F.coalesce("root", "fp").alias("root")).agg(F.min("lead").alias("lead"))
+    return df.join(best.select(F.col("lead._row").alias("_row")), "_row", "left_semi").drop("_row")
