@@ -265,6 +265,16 @@ def _opened(start: dict[tuple[int, int], tuple[int, int]], bin_of: dict[int, int
     return run
 
 
+def _dealt(df: DataFrame, tasks: int, *keys) -> DataFrame:
+    """Rows with equal keys in one task, of ``tasks``. One task needs no exchange."""
+    return df.repartition(tasks, *keys) if tasks > 1 else df.coalesce(1)
+
+
+def _ranged(df: DataFrame, tasks: int, order: list) -> DataFrame:
+    """Globally sorted into ``tasks`` ranges. One task needs no exchange."""
+    return (df.repartitionByRange(tasks, *order) if tasks > 1 else df.coalesce(1)).sortWithinPartitions(*order)
+
+
 class _Packing:
     """Gaps of open sequences (bin, gap) and what has been placed: (bin, turn, nth, piece)."""
 
@@ -288,7 +298,7 @@ class _Packing:
             tokens = tokens.unionByName(self.gaps.select(F.col("gap").alias("size"), F.lit(_GAP).alias("kind"), "bin", *none))
         order = [F.desc("size"), F.asc("kind"), F.asc("bin"), F.asc("doc_id"), F.asc("start"), F.asc("ids_crc32")]
         tasks = max(1, -(-(n + self.bins) // self.rows_a_task))
-        swept = stash(tokens.repartitionByRange(tasks, *order).sortWithinPartitions(*order).mapInArrow(_sweep(self.capacity), _SWEPT_SQL), "swept")
+        swept = stash(_ranged(tokens, tasks, order).mapInArrow(_sweep(self.capacity), _SWEPT_SQL), "swept")
         sums = {r["task"]: r["sums"] for r in swept.filter(F.col("state") == _SUMS).select("task", "sums").collect()}  # one row a task
         every = range(1 + max(sums))
         of = lambda t, k: sums[t][k] if t in sums else 0
@@ -298,7 +308,7 @@ class _Packing:
         carried: dict[int, int] = {}
         if met:
             over = swept.filter(F.col("state").isin(_WAITS, _FREE)).mapInArrow(_numbers(met), f"number long, {_SWEPT_SQL}")
-            pairs = over.filter("number is not null").repartition(tasks, "number").sortWithinPartitions("number", F.desc("state"), "rank")
+            pairs = _dealt(over.filter("number is not null"), tasks, "number").sortWithinPartitions("number", F.desc("state"), "rank")
             both = stash(pairs.select("number", "state", "bin", "gap", "rank", *_OWN).mapInArrow(_meet, f"bin long, gap int, nth long, {_OF_PIECE}"), "carried")
             self.take(both.filter("length is not null"))
             unmet = over.filter((F.col("state") == _FREE) & F.col("number").isNull()).select("bin", "gap")
@@ -335,7 +345,7 @@ class _Packing:
         found = stash(swept.filter(F.col("state") == _WAITS).mapInArrow(_opened(start, bin_of, self.capacity), f"bin long, nth long, {_OF_PIECE}"), "opened")
         self.take(found)
         tasks = max(1, -(-n // self.rows_a_task))
-        gaps = found.repartition(tasks, "bin").groupBy("bin").agg((F.lit(self.capacity) - F.sum("length")).cast("int").alias("gap")).filter("gap > 0")
+        gaps = _dealt(found, tasks, "bin").groupBy("bin").agg((F.lit(self.capacity) - F.sum("length")).cast("int").alias("gap")).filter("gap > 0")
         self.gaps = gaps if self.gaps is None else self.gaps.unionByName(gaps)
 
 
@@ -359,7 +369,7 @@ def place(pieces: DataFrame, capacity: int, rows_a_task: int = 100_000) -> DataF
     seen = {k: counts[str(k)] for k in range(len(cuts)) if counts[str(k)]}
     tasks = max(1, -(-sum(seen.values()) // rows_a_task))
     by_length = [F.desc("length"), F.asc("doc_id"), F.asc("start")]
-    pieces = stash(pieces.repartitionByRange(tasks, *by_length).sortWithinPartitions(*by_length), "by-length")  # a band reads its own files
+    pieces = stash(_ranged(pieces, tasks, by_length), "by-length")  # a band reads its own files
     state = _Packing(capacity, rows_a_task)
     for k, (longest, under) in enumerate(cuts):
         if k in seen:
@@ -369,7 +379,7 @@ def place(pieces: DataFrame, capacity: int, rows_a_task: int = 100_000) -> DataF
     every = state.placed[0]
     for more in state.placed[1:]:
         every = every.unionByName(more)
-    every = every.repartition(tasks, "bin")
+    every = _dealt(every, tasks, "bin")
     before = Window.partitionBy("bin").orderBy("turn", "nth").rowsBetween(Window.unboundedPreceding, -1)
     offset = F.coalesce(F.sum("length").over(before), F.lit(0)).cast("long")
     return every.select("doc_id", "piece", "start", F.col("length").cast("long").alias("length"), "ids_crc32", F.col("bin").alias("sequence_id"), offset.alias("offset"))

@@ -105,3 +105,14 @@ def test_units_of_odd_texts_equal_the_library():
     for at in range(0, len(texts), 100):
         for text, ids in zip(texts[at : at + 100], own.texts([t.encode() for t in texts[at : at + 100]])):
             assert np.frombuffer(ids, "<u4").tolist() == library.encode(text, add_special_tokens=False).ids
+
+
+def test_rows_of_one_task_are_not_dealt(spark, monkeypatch):
+    def dealt(*_):
+        raise AssertionError("rows that one task holds went through an exchange")
+
+    kind = type(spark.range(0))
+    monkeypatch.setattr(kind, "repartition", dealt)
+    monkeypatch.setattr(kind, "repartitionByRange", dealt)
+    lengths = [16] * 3 + [9, 9, 7, 7] + [3] * 10
+    assert packed(spark, lengths, 16, 100) <= best_fit_decreasing(lengths, 16)
